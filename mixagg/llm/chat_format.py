@@ -36,15 +36,22 @@ def _unescape_role(c: Column) -> Column:
     return F.array_join(F.transform(parts, lambda p: F.replace(p, F.lit("\\n"), F.lit("\n"))), "\\")
 
 
-def merged_turns(turns: Column) -> Column:
+def let(value: Column, body) -> Column:
+    """``body`` of a value that is computed once; an expression named twice inside a lambda is run twice."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def run_starts(turns: Column) -> Column:
+    """1-based positions at which the role changes."""
+    return F.filter(F.sequence(F.lit(1), F.size(turns)), lambda i: (i == 1) | (F.get(turns, i - 1)["role"] != F.get(turns, i - 2)["role"]))
+
+
+def merged_turns(turns: Column, heads: Column) -> Column:
     """Neighbouring turns of one role become one struct of the role and its texts' array."""
-    n = F.size(turns)
-    heads = F.filter(F.sequence(F.lit(1), n), lambda i: (i == 1) | (F.get(turns, i - 1)["role"] != F.get(turns, i - 2)["role"]))
 
     def run(i: Column, k: Column) -> Column:
-        stop = F.coalesce(F.get(heads, k + 1), n + 1)
-        part = F.slice(turns, i, stop - i)
-        return F.struct(F.get(part, F.lit(0))["role"].alias("role"), F.transform(part, lambda t: t["text"]).alias("texts"))
+        part = F.slice(turns, i, F.coalesce(F.get(heads, k + 1), F.size(turns) + 1) - i)
+        return let(part, lambda p: F.struct(F.get(p, F.lit(0))["role"].alias("role"), F.transform(p, lambda t: t["text"]).alias("texts")))
 
     return F.transform(heads, run)
 
@@ -68,7 +75,10 @@ def format_conversations(
     )
     blocks = rows.groupBy("conv_id", "part").agg(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))).alias("turns"))
     whole = blocks.groupBy("conv_id").agg(F.sort_array(F.collect_list(F.struct("part", "turns"))).alias("blocks"))
-    merged = whole.select("conv_id", merged_turns(F.flatten(F.transform("blocks", lambda b: b["turns"]))).alias("merged"))
+    # turns and heads stay columns of their own: each is read many times
+    turns = whole.select("conv_id", F.flatten(F.transform("blocks", lambda b: b["turns"])).alias("turns"))
+    heads = turns.withColumn("heads", run_starts(F.col("turns")))
+    merged = heads.select("conv_id", merged_turns(F.col("turns"), F.col("heads")).alias("merged"))
 
     def pieces(m: Column) -> Column:
         loss = m["role"].isin(*learn)
@@ -88,9 +98,11 @@ def parse_formatted(formatted: Column) -> Column:
     pieces = F.slice(F.split(formatted, r"<\|im_start\|>", -1), 2, 1 << 30)
 
     def turns(p: Column) -> Column:
-        role = F.substring_index(p, "\n", 1)
-        body = F.substr(p, F.length(role) + 2, F.length(p) - F.length(role) - 1 - len(END) - 1)
-        return F.transform(F.split(body, r"<\|im_next\|>", -1), lambda t: F.struct(_unescape_role(role).alias("role"), unescape(t).alias("text")))
+        def of(role: Column) -> Column:
+            body = F.substr(p, F.length(role) + 2, F.length(p) - F.length(role) - 1 - len(END) - 1)
+            return let(_unescape_role(role), lambda said: F.transform(F.split(body, r"<\|im_next\|>", -1), lambda t: F.struct(said.alias("role"), unescape(t).alias("text"))))
+
+        return let(F.substring_index(p, "\n", 1), of)
 
     return F.flatten(F.transform(pieces, turns))
 
