@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from mixagg.llm import byte_bpe, chat_format, one_bit_search, packing, token_counts, url_filter
+from mixagg.llm import byte_bpe, chat_format, ngram_join, one_bit_search, packing, paragraph_dedup, quality, suffix_dedup, token_counts, url_filter
 from mixagg.llm.session import table
 
 # The URL rules.
@@ -19,6 +19,14 @@ URL_RULES = [
 ]
 
 
+def op1_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.linked_documents(table(spark, sf_dir, "documents"))
+
+
+def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.judge_documents(table(spark, sf_dir, "documents"))
+
+
 def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.PATTERN)
 
@@ -33,6 +41,14 @@ def op5_one_bit_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return one_bit_search.nearest_neighbours(rows, rows.where(F.col("vec_id") % 100 == 0))
 
 
+def op6_paragraph_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return paragraph_dedup.duplicate_paragraphs(table(spark, sf_dir, "documents"))
+
+
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.dedup_substrings(table(spark, sf_dir, "documents"))
+
+
 def op8_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(table(spark, sf_dir, "pages"), URL_RULES)
 
@@ -48,7 +64,10 @@ def op10_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat_format.digests(chat_format.format_conversations(rows))
 
 
-QUERIES = {f.__name__: f for f in (op3_packing, op4_token_counts, op5_one_bit_search, op8_url_filters, op9_byte_bpe, op10_chat_format)}
+QUERIES = {f.__name__: f for f in (
+    op1_ngram_join, op2_quality_rules, op3_packing, op4_token_counts, op5_one_bit_search, op6_paragraph_dedup, op7_suffix_dedup,
+    op8_url_filters, op9_byte_bpe, op10_chat_format,
+)}
 
 ORACLES = {
     "op8_url_filters": r"""
