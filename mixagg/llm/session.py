@@ -1,31 +1,46 @@
-"""Small session helpers shared by the operators: tables, checkpoints and size-bounded collection."""
+"""Small session helpers shared by the operators: tables, and steps kept in the shared checkpoint folder."""
 
 from __future__ import annotations
 
+import atexit
 import gc
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+_folders: dict[str, str] = {}
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def saved(df: DataFrame) -> DataFrame:
-    """``df`` written once to the shared checkpoint folder and read back, so its lineage ends there.
+def shared_folder(spark: SparkSession) -> str:
+    """A folder of this application's own in the one that the cluster names in ``spark.checkpoint.dir``.
 
-    The folder is the one the cluster names in ``spark.checkpoint.dir``; only where that is unset (tests,
-    local runs) is a temporary folder chosen.
+    Only where that is unset (tests, local runs) is the context's checkpoint folder or a temporary one taken.
+    The folder is deleted when the driver ends.
     """
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="ckpt-"))
-    return df.checkpoint()
+    sc = spark.sparkContext
+    if sc.applicationId not in _folders:
+        known = sc._jsc.sc().getCheckpointDir()
+        base = sc.getConf().get("spark.checkpoint.dir") or (known.get() if known.isDefined() else tempfile.mkdtemp(prefix="ckpt-"))
+        _folders[sc.applicationId] = folder = f"{base.rstrip('/')}/steps-{uuid.uuid4().hex}"
+        path = sc._jvm.org.apache.hadoop.fs.Path(folder)
+        atexit.register(lambda: sc._jsc and path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True))
+    return _folders[sc.applicationId]
 
 
-def shuffle_width(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
+def saved(df: DataFrame) -> DataFrame:
+    """``df`` written once as a compressed table in the shared folder and read back, so its lineage ends there.
+
+    Any executor can read it after others were lost; shuffle files of steps before it are released.
+    """
+    path = f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    release(df.sparkSession)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
 def release(spark: SparkSession) -> None:
