@@ -25,10 +25,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.session import release, saved
+from mixagg.llm.session import saved
 from mixagg.llm.textkit import BYTE_CODE, Texts, binary_array, grouped, list_array, mix, over_texts, powers, prefix_hash, span_hash
 
-GRAM, BUCKETS, COVER = 16, 6, 16
+GRAM, BUCKETS, COVER = 20, 3, 16
 
 
 def difference_cover(v: int) -> np.ndarray:
@@ -65,21 +65,20 @@ def anchors(texts: Texts, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarr
     low = _slide(h, span, np.minimum)  # by window start
     doc = np.repeat(np.arange(len(texts)), np.diff(texts.off))
     valid = doc[: len(low)] == doc[length - 1 :]
-    bar = np.where(valid, low, np.uint64(0))
-    wide = np.r_[np.zeros(span - 1, np.uint64), bar, np.zeros(span - 1, np.uint64)]
-    pos = np.flatnonzero(h == _slide(wide, span, np.maximum)[:grams])  # a smallest one of some window around it
-    if not len(pos):
+    # runs of windows with one minimum; a run whose anchor drops out while an equal one follows is cut there
+    edge = np.r_[True, (low[1:] != low[:-1]) | (valid[1:] != valid[:-1])]
+    first = np.flatnonzero(edge)
+    last = np.r_[first[1:], len(low)] - 1
+    first, last = first[valid[first]], last[valid[first]]
+    done = []
+    while len(first):
+        pos = first + (h[first[:, None] + np.arange(span)[None]] == low[first][:, None]).argmax(1)
+        done.append((pos, first, np.minimum(last, pos)))
+        more = last > pos
+        first, last = pos[more] + 1, last[more]
+    if not done:
         return none, none.view(np.uint64), none, none, prefix
-    near = pos[:, None] + np.arange(-(span - 1), 1)[None]
-    names = (near >= 0) & (near < len(low))
-    near = np.clip(near, 0, len(low) - 1)
-    names &= valid[near] & (low[near] == h[pos][:, None])
-    same = np.r_[False, (h[pos][1:] == h[pos][:-1])]
-    names &= ~same[:, None] | (near > np.r_[-1, pos[:-1]][:, None])  # the leftmost of equals has the window
-    some = names.any(1)
-    pos, near, names = pos[some], near[some], names[some]
-    first = near[np.arange(len(pos)), names.argmax(1)]
-    last = near[np.arange(len(pos)), span - 1 - names[:, ::-1].argmax(1)]
+    pos, first, last = (np.concatenate(x) for x in zip(*done))
     return pos, h[pos], first, last, prefix
 
 
@@ -107,9 +106,9 @@ def contexts(docs: DataFrame, length: int, bucket: int | None, buckets: int) ->
         size = np.where(send, end - first, 0)
         total = int(size.sum())
         where = np.repeat(first - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(total)
-        return pa.record_batch([pa.array(h.view(np.int64)), pa.array(ids), pa.array(first - texts.off[doc]), pa.array(pos - first), pa.array(last - first + length), pa.array(settled), binary_array(texts.data[where].tobytes(), size)], ["anchor", "doc_id", "start", "before", "size", "settled", "context"])
+        return pa.record_batch([pa.array(h.view(np.int64)), pa.array(ids), pa.array(first - texts.off[doc]), pa.array(pos - first), pa.array(last - first + length), pa.array(settled), pa.array(content.view(np.int64)), binary_array(texts.data[where].tobytes(), size)], ["anchor", "doc_id", "start", "before", "size", "settled", "content", "context"])
 
-    return docs.mapInArrow(over_texts(run), "anchor long, doc_id long, start long, before long, size long, settled boolean, context binary")
+    return docs.mapInArrow(over_texts(run), "anchor long, doc_id long, start long, before long, size long, settled boolean, content long, context binary")
 
 
 def _dense(*keys: np.ndarray) -> np.ndarray:
@@ -183,33 +182,37 @@ def repeated_spans(rows: DataFrame, length: int) -> DataFrame:
         at = np.flatnonzero(several)
         if not len(at):
             return None
-        blobs = cols["context"].take(pa.array(at))
-        group, ids, size, before, start = group[at], ids[at], size[at], cols["before"][at], cols["start"][at]
         # equal contexts are sorted once, for their smallest document
-        off = np.frombuffer(blobs.buffers()[1], np.int32)[blobs.offset : blobs.offset + len(at) + 1].astype(np.int64)
-        data = np.frombuffer(blobs.buffers()[2], np.uint8)
-        grid = np.zeros((len(at), width + COVER), np.uint8)
-        lead = ahead - before
-        src = np.arange(off[0], off[-1])
-        r = np.repeat(np.arange(len(at)), size)
-        grid[r, np.repeat(lead - (off[:-1] - off[0]), size) + (src - off[0])] = data[src]
-        whole = _dense(group, before, size, *(np.ascontiguousarray(grid[:, :width]).view(">u8").astype(np.uint64).T))
-        order = np.lexsort((ids, whole))
-        lead_of = np.r_[True, whole[order][1:] != whole[order][:-1]]
+        group, ids, size, before, start, content = group[at], ids[at], size[at], cols["before"][at], cols["start"][at], cols["content"][at]
+        order = np.lexsort((ids, content, group))
+        new = np.r_[True, (group[order][1:] != group[order][:-1]) | (content[order][1:] != content[order][:-1])]
         rep = np.empty(len(at), np.int64)
-        rep[order] = order[np.flatnonzero(lead_of)][np.cumsum(lead_of) - 1]
+        rep[order] = order[np.flatnonzero(new)][np.cumsum(new) - 1]
+        lead = ahead - before
         reps = np.flatnonzero(rep == np.arange(len(at)))
-        windows = (size - length + 1)[reps]
-        row = np.repeat(np.arange(len(reps)), windows)
-        col = np.repeat(lead[reps], windows) + np.arange(windows.sum()) - np.repeat(np.cumsum(windows) - windows, windows)
-        cls = sort_block(grid[reps], group[reps][row], row, col, length, cover)
-        least = np.full(cls.max() + 1, np.iinfo(np.int64).max)
-        np.minimum.at(least, cls, ids[reps][row])
+        distinct = np.bincount(group[reps], minlength=len(starts))
+        reps = reps[distinct[group[reps]] > 1]  # the others have nothing to be compared with
         gone = np.zeros((len(reps), width), bool)
-        gone[row, col] = ids[reps][row] > least[cls]
+        if len(reps):
+            blobs = cols["context"].take(pa.array(at[reps]))
+            off = np.frombuffer(blobs.buffers()[1], np.int32)[blobs.offset : blobs.offset + len(reps) + 1].astype(np.int64)
+            data = np.frombuffer(blobs.buffers()[2], np.uint8)
+            grid = np.zeros((len(reps), width + COVER), np.uint8)
+            src = np.arange(off[0], off[-1])
+            r = np.repeat(np.arange(len(reps)), size[reps])
+            grid[r, np.repeat(lead[reps] - (off[:-1] - off[0]), size[reps]) + (src - off[0])] = data[src]
+            windows = (size - length + 1)[reps]
+            row = np.repeat(np.arange(len(reps)), windows)
+            col = np.repeat(lead[reps], windows) + np.arange(windows.sum()) - np.repeat(np.cumsum(windows) - windows, windows)
+            cls = sort_block(grid, group[reps][row], row, col, length, cover)
+            least = np.full(cls.max() + 1, np.iinfo(np.int64).max)
+            np.minimum.at(least, cls, ids[reps][row])
+            gone[row, col] = ids[reps][row] > least[cls]
         back = np.full(len(at), -1)
         back[reps] = np.arange(len(reps))
-        mine = gone[back[rep]]
+        mine = np.zeros((len(at), width), bool)
+        has = back[rep] >= 0
+        mine[has] = gone[back[rep][has]]
         later = ids > ids[rep]
         span = np.arange(width)[None]
         mine |= later[:, None] & (span >= lead[:, None]) & (span <= (lead + size - length)[:, None])
@@ -230,7 +233,6 @@ def removed_spans(docs: DataFrame, length: int = 50, buckets: int = BUCKETS, id_
         spans = repeated_spans(found.where("not settled"), length).unionByName(settled)
         # touching stretches of a document are joined before they are kept
         spans = saved(joined_spans(spans))
-        release(docs.sparkSession)
         out = spans if out is None else out.unionByName(spans)
     return out.select("doc_id", F.inline(F.arrays_zip("starts", "stops"))).select("doc_id", F.col("starts").alias("start"), F.col("stops").alias("stop"))
 
