@@ -43,7 +43,7 @@ def frequent_shingles(docs: DataFrame, width: int, top: int = TOP_SHINGLES, per_
             keep = np.argsort(-total, kind="stable")[: 8 * per_task]
             held_h, held_n = hs[keep], total[keep]
 
-        for _ in over_texts(one)(batches):
+        for _ in over_texts(one, max_bytes=1 << 22)(batches):
             pass
         yield pa.record_batch([pa.array(held_h[:per_task].view(np.int64)), pa.array(held_n[:per_task])], ["h", "n"])
 

@@ -12,7 +12,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 
-MAX_BYTES = 1 << 21
+MAX_BYTES = 1 << 18  # array passes stay in the cache
 _BASE = 0x9E3779B97F4A7C15 | 1
 _M64 = (1 << 64) - 1
 
@@ -178,12 +178,12 @@ def slices(batch: pa.RecordBatch, text: str, max_bytes: int = MAX_BYTES) -> Iter
         at = to
 
 
-def over_texts(fn: Callable[[pa.RecordBatch, Texts], pa.RecordBatch | None], text: str = "text"):
+def over_texts(fn: Callable[[pa.RecordBatch, Texts], pa.RecordBatch | None], text: str = "text", max_bytes: int = MAX_BYTES):
     """A mapInArrow function that applies ``fn`` to byte-bounded slices of the input."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part, texts in slices(batch, text):
+            for part, texts in slices(batch, text, max_bytes):
                 out = fn(part, texts)
                 if out is not None and out.num_rows:
                     yield out
