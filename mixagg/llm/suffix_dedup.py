@@ -25,10 +25,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.session import saved
+from mixagg.llm.session import release, saved
 from mixagg.llm.textkit import BYTE_CODE, Texts, binary_array, grouped, list_array, mix, over_texts, powers, prefix_hash, span_hash
 
-GRAM, BUCKETS, COVER = 20, 3, 16
+GRAM, BUCKETS, COVER = 20, 5, 16
 
 
 def difference_cover(v: int) -> np.ndarray:
@@ -226,13 +226,16 @@ def repeated_spans(rows: DataFrame, length: int) -> DataFrame:
 def removed_spans(docs: DataFrame, length: int = 50, buckets: int = BUCKETS, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, start, stop): byte stretches to remove; they may overlap."""
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text")).where(F.col("doc_id").isNotNull())
-    out = None
-    for bucket in range(buckets):
+
+    def one(bucket: int) -> DataFrame:
         found = contexts(rows, length, bucket, buckets)
         settled = found.where("settled").select("doc_id", "start", (F.col("start") + F.col("size")).alias("stop"))
-        spans = repeated_spans(found.where("not settled"), length).unionByName(settled)
-        # touching stretches of a document are joined before they are kept
-        spans = saved(joined_spans(spans))
+        return saved(joined_spans(repeated_spans(found.where("not settled"), length).unionByName(settled)))
+
+    out = None
+    for bucket in range(buckets):
+        spans = one(bucket)
+        release(docs.sparkSession)  # nothing refers to the bucket's shuffle any more
         out = spans if out is None else out.unionByName(spans)
     return out.select("doc_id", F.inline(F.arrays_zip("starts", "stops"))).select("doc_id", F.col("starts").alias("start"), F.col("stops").alias("stop"))
 
