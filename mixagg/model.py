@@ -60,8 +60,8 @@ class Factor:
     @staticmethod
     def dense(df: DataFrame, algebra: Algebra, key: str, array: str, names: tuple[str, str], value=lambda v: v) -> Factor:
         """A truth table: one row a key with an array over the second variable."""
-        rows = df.select(F.col(key).alias(names[0]), F.posexplode(array).alias(names[1], "v"))
-        return Factor(names, rows.select(*names, value(F.col("v")).cast(algebra.dtype).alias("val")).where(algebra.nonzero(F.col("val"))))
+        rows = df.select(F.col(key).alias(names[0]), F.posexplode(array).alias(names[1], "__x"))
+        return Factor(names, rows.select(*names, value(F.col("__x")).cast(algebra.dtype).alias("val")).where(algebra.nonzero(F.col("val"))))
 
     def size(self) -> int:
         return self.df.count()
