@@ -35,6 +35,24 @@ def bitmaps(keys: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return np.packbits(grid, axis=1)
 
 
+def wide_bitmap(keys: np.ndarray) -> bytes:
+    """A bitmap with at least two bits a member, in a power of two, for one set."""
+    bits = max(BITS, 1 << (2 * max(len(keys), 1) - 1).bit_length())
+    row = np.zeros(bits, np.uint8)
+    row[(mix(keys & np.uint64((1 << HASH_BITS) - 1)) >> np.uint64(20)).astype(np.int64) & (bits - 1)] = 1
+    return np.packbits(row, bitorder="little").tobytes()
+
+
+def wide_bound(x: bytes, y: bytes, n1: int, n2: int) -> int:
+    """The overlap bound of two sets from bitmaps that may differ in width: the wider one is folded."""
+    a, b = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+    while len(a) > len(b):
+        a = a[: len(a) // 2] | a[len(a) // 2 :]
+    while len(b) > len(a):
+        b = b[: len(b) // 2] | b[len(b) // 2 :]
+    return min(n1 - int(np.bitwise_count(a & ~b).sum()), n2 - int(np.bitwise_count(b & ~a).sum()))
+
+
 def needed(n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
     """The smallest overlap at which sets of these sizes reach the similarity."""
     return -(-percent * (n1 + n2) // (100 + percent))
@@ -87,16 +105,16 @@ def first_pairs(index: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
 
 
 def bounded(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs whose bitmaps allow a link."""
-    side = lambda c: sets.select(F.col("setid").alias(c), F.col("n").alias(f"n{c}"), F.col("bitmap").alias(f"m{c}"))
+    """The pairs whose wide bitmaps (a few percent of the sets' bytes) allow a link."""
+    side = lambda c: sets.select(F.col("setid").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(f"m{c}"))
     joined = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "ma", "mb")
 
     def keep(batches):
         for t in batches:
             if t.num_rows:
                 na, nb = t.column(2).to_numpy().astype(np.int64), t.column(3).to_numpy().astype(np.int64)
-                ok = overlap_bound(_blob(t.column(4), BITS // 8), _blob(t.column(5), BITS // 8), na, nb) >= needed(na, nb, percent)
-                yield t.select([0, 1]).filter(pa.array(ok))
+                most = [wide_bound(x.as_py(), y.as_py(), i, j) for x, y, i, j in zip(t.column(4), t.column(5), na.tolist(), nb.tolist())]
+                yield t.select([0, 1]).filter(pa.array(np.array(most) >= needed(na, nb, percent)))
 
     return joined.mapInArrow(keep, "a long, b long")
 
@@ -204,12 +222,13 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
 
 
 def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75) -> DataFrame:
-    """(node, comp) of all sets that have a link; ``sets``: setid, n, rep, bitmap; ``index``: key, setid, n, pos."""
+    """(node, comp) of all sets that have a link; ``sets``: setid, n, rep, bitmap, wide; ``index``: key, setid, n, pos."""
     shared, pairs = first_pairs(index, percent)
-    pairs = saved(bounded(pairs, sets, percent))
-    links = saved(linked(pairs, sets, fetch, percent))
+    kept = saved(bounded(pairs, sets, percent))
+    links = saved(linked(kept, sets, fetch, percent))
     comps = saved(components(links))
-    more = saved(mixed_pairs(shared, sets, comps, percent).join(pairs, ["a", "b"], "left_anti"))
+    more = saved(mixed_pairs(shared, sets, comps, percent).join(kept, ["a", "b"], "left_anti"))
+    more = saved(bounded(more, sets, percent))
     if more.isEmpty():
         return comps
     second = saved(linked(more, sets, fetch, percent))

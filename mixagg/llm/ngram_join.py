@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets
+from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
 from mixagg.llm.session import saved
 from mixagg.llm.textkit import Texts, binary_array, list_array, mix, over_texts, segments, shingles
 
@@ -71,7 +71,7 @@ def set_id(keys: np.ndarray) -> int:
 
 
 def set_table(docs: DataFrame, width: int, percent: int, frequent) -> DataFrame:
-    """doc_id, n, setid, prefix, bitmap per document."""
+    """doc_id, n, setid, prefix, bitmap, wide per document."""
     shared = docs.sparkSession.sparkContext.broadcast(frequent)
 
     def run(part, texts):
@@ -80,9 +80,9 @@ def set_table(docs: DataFrame, width: int, percent: int, frequent) -> DataFrame:
         prefix = [k[: len(k) + (-percent * len(k) // 100) + 1] if len(k) else k for k in keys]
         flat = np.concatenate(keys) if len(keys) else np.zeros(0, np.uint64)
         bits = bitmaps(flat, np.repeat(np.arange(len(keys)), n), len(keys))
-        return pa.record_batch([part.column(0), pa.array(n), pa.array([set_id(k) for k in keys], pa.int64()), list_array(np.concatenate(prefix).view(np.int64), np.array([len(p) for p in prefix])), binary_array(bits.tobytes(), np.full(len(keys), bits.shape[1]))], ["doc_id", "n", "setid", "prefix", "bitmap"])
+        return pa.record_batch([part.column(0), pa.array(n), pa.array([set_id(k) for k in keys], pa.int64()), list_array(np.concatenate(prefix).view(np.int64), np.array([len(p) for p in prefix])), binary_array(bits.tobytes(), np.full(len(keys), bits.shape[1])), pa.array([wide_bitmap(k) for k in keys], pa.binary())], ["doc_id", "n", "setid", "prefix", "bitmap", "wide"])
 
-    return docs.mapInArrow(over_texts(run), "doc_id long, n long, setid long, prefix array<long>, bitmap binary")
+    return docs.mapInArrow(over_texts(run), "doc_id long, n long, setid long, prefix array<long>, bitmap binary, wide binary")
 
 
 def fetch_sets(docs: DataFrame, width: int, frequent):
@@ -112,9 +112,9 @@ def linked_documents(docs: DataFrame, width: int = 5, percent: int = 75, id_col:
     frequent = frequent_shingles(docs, width)
     table = saved(set_table(docs, width, percent, frequent))
     some = table.where("n > 0")
-    sets = saved(some.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("prefix").alias("prefix"), F.first("bitmap").alias("bitmap")))
+    sets = saved(some.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("prefix").alias("prefix"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
     index = sets.select("setid", "n", F.posexplode("prefix").alias("pos", "key"))
-    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap"), fetch_sets(docs, width, frequent), percent)
+    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_sets(docs, width, frequent), percent)
     label = sets.select("setid", "rep").join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     least = label.groupBy("comp").agg(F.min("rep").alias("component_id"))
     of_set = label.join(least, "comp").select("setid", "component_id")

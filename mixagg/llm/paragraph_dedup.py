@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets
+from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
 from mixagg.llm.ngram_join import set_id
 from mixagg.llm.session import saved
 from mixagg.llm.textkit import LOWER_CODE, Texts, binary_array, list_array, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
@@ -98,10 +98,11 @@ def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool
             _, one = np.unique(p.set_ids(), return_index=True)  # copies in a batch are one set: the first
             bits = bitmaps(p.keys, p.owner, len(p))[one]
             columns = [c.take(pa.array(one)) for c in columns] + [pa.array(p.n[one]), list_array(p.bands(bands, rows)[one].ravel().view(np.int64), np.full(len(one), bands)), binary_array(bits.tobytes(), np.full(len(one), bits.shape[1]))]
-            names += ["n", "bands", "bitmap"]
+            columns.append(pa.array([wide_bitmap(p.set_keys(i)) for i in one], pa.binary()))
+            names += ["n", "bands", "bitmap", "wide"]
         return pa.record_batch(columns, names)
 
-    schema = "doc_id long, line long, start long, stop long, n_words long, setid long" + (", n long, bands array<long>, bitmap binary" if with_keys else "")
+    schema = "doc_id long, line long, start long, stop long, n_words long, setid long" + (", n long, bands array<long>, bitmap binary, wide binary" if with_keys else "")
     return docs.mapInArrow(over_texts(run), schema)
 
 
@@ -131,9 +132,9 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     """Each paragraph of a component of several: its place, the place of the one that stays, and ``removed``."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True)
-    sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap")))
+    sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
     index = sets.select("setid", "n", F.explode("bands").alias("key")).withColumn("pos", F.lit(0).cast("long"))
-    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap"), fetch_paragraphs(docs, width, min_words), percent)
+    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_paragraphs(docs, width, min_words), percent)
     places = paragraph_table(docs, width, min_words, with_keys=False).join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     places = saved(places)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
