@@ -25,21 +25,31 @@ from mixagg.llm.textkit import binary_array, grouped, mix
 
 BITS = 512  # of a bitmap signature
 TILE_ROWS = 4096
+PAIRS_AT_ONCE = 1 << 17  # of a tile, held in memory together
 HASH_BITS = 58  # of a shingle key; the bits above hold its frequency class
 
 
-def bitmaps(keys: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
+def places(mixed: np.ndarray) -> np.ndarray:
+    """Where mixed keys stand in bitmaps, before the width is taken off."""
+    return (mixed >> np.uint64(20)).astype(np.int64)
+
+
+def mixed_keys(keys: np.ndarray) -> np.ndarray:
+    return mix(keys & np.uint64((1 << HASH_BITS) - 1))
+
+
+def bitmaps(keys: np.ndarray, owner: np.ndarray, n: int, at: np.ndarray | None = None) -> np.ndarray:
     """n bitmaps of BITS bits: each key sets one."""
     grid = np.zeros((n, BITS), np.uint8)
-    grid[owner, (mix(keys & np.uint64((1 << HASH_BITS) - 1)) >> np.uint64(20)).astype(np.int64) % BITS] = 1
+    grid[owner, (places(mixed_keys(keys)) if at is None else at) % BITS] = 1
     return np.packbits(grid, axis=1)
 
 
-def wide_bitmap(keys: np.ndarray) -> bytes:
+def wide_bitmap(keys: np.ndarray, at: np.ndarray | None = None) -> bytes:
     """A bitmap with at least two bits a member, in a power of two, for one set."""
     bits = max(BITS, 1 << (2 * max(len(keys), 1) - 1).bit_length())
     row = np.zeros(bits, np.uint8)
-    row[(mix(keys & np.uint64((1 << HASH_BITS) - 1)) >> np.uint64(20)).astype(np.int64) & (bits - 1)] = 1
+    row[(places(mixed_keys(keys)) if at is None else at) & (bits - 1)] = 1
     return np.packbits(row, bitorder="little").tobytes()
 
 
@@ -65,8 +75,10 @@ def overlap_bound(b1: np.ndarray, b2: np.ndarray, n1: np.ndarray, n2: np.ndarray
 
 
 def _blob(column: pa.Array, width: int) -> np.ndarray:
+    """Binary values of one width as rows of bytes, without copying them."""
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    return np.frombuffer(b"".join(column.to_pylist()), np.uint8).reshape(-1, width)
+    first = int(np.frombuffer(column.buffers()[1], np.int32)[column.offset])
+    return np.frombuffer(column.buffers()[2], np.uint8)[first : first + len(column) * width].reshape(-1, width)
 
 
 def first_pairs(index: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
@@ -196,26 +208,33 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
     full = tiles.join(sets.select("setid", "bitmap"), "setid").select(F.xxhash64("key", lo, hi).alias("tile"), "setid", "n", "pos", "comp", "block", (lo == hi).alias("inner"), "bitmap")
 
     def search(cols, starts):
-        ends = np.r_[starts[1:], len(cols["tile"])]
-        got = []
-        for a, b in zip(starts, ends):
-            if b - a < 2 or (cols["comp"][a:b] == cols["comp"][a]).all():
-                continue
-            n, pos, comp, blk, s = (cols[c][a:b] for c in ("n", "pos", "comp", "block", "setid"))
-            inner, bits = bool(cols["inner"][a]), _blob(cols["bitmap"].slice(a, b - a), BITS // 8)
-            for i in range(len(n) - 1):
-                to = np.searchsorted(n, 100 * n[i] // percent, side="right")
-                j = np.arange(i + 1, to)
-                j = j[(comp[j] != comp[i]) & (inner | (blk[j] != blk[i]))]
-                if len(j):
-                    want = needed(n[i], n[j], percent)
-                    j = j[np.minimum(n[i] - pos[i], n[j] - pos[j]) >= want]
-                    j = j[overlap_bound(np.broadcast_to(bits[i], (len(j), bits.shape[1])).copy(), bits[j], n[i], n[j]) >= needed(n[i], n[j], percent)] if len(j) else j
-                    got.append(np.stack([np.minimum(s[i], s[j]), np.maximum(s[i], s[j])]))
+        n, pos, comp, blk, s, inner = (cols[c] for c in ("n", "pos", "comp", "block", "setid", "inner"))
+        size = len(n)
+        group = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, size])) << 32
+        to = np.searchsorted(group + n, group + 100 * n // percent, side="right")  # first row that is too large
+        turn = np.flatnonzero(np.r_[comp[1:] != comp[:-1], True])
+        other = turn[np.searchsorted(turn, np.arange(size))] + 1  # next row of another component
+        width = np.maximum(to - other, 0)
+        total = np.cumsum(width)
+        bits, got, lo = _blob(cols["bitmap"], BITS // 8), [], 0
+        while lo < size:
+            base = total[lo - 1] if lo else 0
+            hi = max(int(np.searchsorted(total, base + PAIRS_AT_ONCE, side="right")), lo + 1)
+            i = np.repeat(np.arange(lo, hi), width[lo:hi])
+            j = other[i] + np.arange(len(i)) - (total[i] - width[i] - base)
+            lo = hi
+            ok = (comp[i] != comp[j]) & (inner[i] | (blk[i] != blk[j])) & (np.minimum(n[i] - pos[i], n[j] - pos[j]) >= needed(n[i], n[j], percent))
+            i, j = i[ok], j[ok]
+            if len(i):
+                ok = overlap_bound(bits[i], bits[j], n[i], n[j]) >= needed(n[i], n[j], percent)
+                got.append((np.minimum(s[i[ok]], s[j[ok]]), np.maximum(s[i[ok]], s[j[ok]])))
         if not got:
             return None
-        pairs = np.unique(np.concatenate(got, axis=1), axis=1)
-        return pa.record_batch([pa.array(pairs[0]), pa.array(pairs[1])], ["a", "b"])
+        x, y = (np.concatenate(v) for v in zip(*got))
+        order = np.lexsort((y, x))
+        x, y = x[order], y[order]
+        new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])][: len(x)])
+        return pa.record_batch([pa.array(x[new]), pa.array(y[new])], ["a", "b"])
 
     found = full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long")
     return found.distinct()

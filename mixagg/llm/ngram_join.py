@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
+from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, mixed_keys, places, wide_bitmap
 from mixagg.llm.session import saved
 from mixagg.llm.textkit import Texts, binary_array, list_array, mix, over_texts, segments, shingles
 
@@ -62,7 +62,13 @@ def set_keys(texts: Texts, width: int, frequent) -> list[np.ndarray]:
         i = np.minimum(np.searchsorted(frequent[0], h), len(frequent[0]) - 1)
         h |= np.where(frequent[0][i] == h, frequent[1][i], np.uint64(0)) << np.uint64(HASH_BITS)
     a, b = segments(h, d, len(texts))
-    return [np.unique(h[i:j]) for i, j in zip(a.tolist(), b.tolist())]
+    return [distinct(h[i:j]) for i, j in zip(a.tolist(), b.tolist())]
+
+
+def distinct(keys: np.ndarray) -> np.ndarray:
+    """The different keys, sorted."""
+    keys = np.sort(keys)
+    return keys[np.r_[True, keys[1:] != keys[:-1]]] if len(keys) else keys
 
 
 def set_id(keys: np.ndarray) -> int:
@@ -70,6 +76,13 @@ def set_id(keys: np.ndarray) -> int:
     return int(mix((mix(keys & _MASK).sum(dtype=np.uint64) + np.uint64(len(keys))).reshape(1)).view(np.int64)[0])
 
 
+def set_ids(mixed: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """``set_id`` of neighbouring sets with ``n`` members each, from all their mixed members."""
+    total = np.r_[np.uint64(0), np.cumsum(mixed, dtype=np.uint64)]
+    end = np.cumsum(n)
+    return mix(total[end] - total[end - n] + n.astype(np.uint64)).view(np.int64)
+
+
 def set_table(docs: DataFrame, width: int, percent: int, frequent) -> DataFrame:
     """doc_id, n, setid, prefix, bitmap, wide per document."""
     shared = docs.sparkSession.sparkContext.broadcast(frequent)
@@ -78,9 +91,12 @@ def set_table(docs: DataFrame, width: int, percent: int, frequent) -> DataFrame:
         keys = set_keys(texts, width, shared.value)
         n = np.array([len(k) for k in keys], np.int64)
         prefix = [k[: len(k) + (-percent * len(k) // 100) + 1] if len(k) else k for k in keys]
-        flat = np.concatenate(keys) if len(keys) else np.zeros(0, np.uint64)
-        bits = bitmaps(flat, np.repeat(np.arange(len(keys)), n), len(keys))
-        return pa.record_batch([part.column(0), pa.array(n), pa.array([set_id(k) for k in keys], pa.int64()), list_array(np.concatenate(prefix).view(np.int64), np.array([len(p) for p in prefix])), binary_array(bits.tobytes(), np.full(len(keys), bits.shape[1])), pa.array([wide_bitmap(k) for k in keys], pa.binary())], ["doc_id", "n", "setid", "prefix", "bitmap", "wide"])
+        mixed = mixed_keys(np.concatenate(keys) if len(keys) else np.zeros(0, np.uint64))
+        at, end = places(mixed), np.cumsum(n)
+        bits = bitmaps(mixed, np.repeat(np.arange(len(keys)), n), len(keys), at)
+        wide = [wide_bitmap(k, at[e - len(k) : e]) for k, e in zip(keys, end.tolist())]
+        prefixes = list_array(np.concatenate(prefix).view(np.int64), np.array([len(p) for p in prefix]))
+        return pa.record_batch([part.column(0), pa.array(n), pa.array(set_ids(mixed, n)), prefixes, binary_array(bits.tobytes(), np.full(len(keys), bits.shape[1])), pa.array(wide, pa.binary())], ["doc_id", "n", "setid", "prefix", "bitmap", "wide"])
 
     return docs.mapInArrow(over_texts(run), "doc_id long, n long, setid long, prefix array<long>, bitmap binary, wide binary")
 
@@ -94,7 +110,7 @@ def fetch_sets(docs: DataFrame, width: int, frequent):
 
         def run(part, texts):
             keys = set_keys(texts, width, shared.value[1])
-            return pa.record_batch([part.column(0), pa.array([set_id(k) for k in keys], pa.int64()), keys_column(keys)], ["rep", "setid", "keys"])
+            return pa.record_batch([part.column(0), pa.array(set_ids(mixed_keys(np.concatenate(keys)), np.array([len(k) for k in keys]))), keys_column(keys)], ["rep", "setid", "keys"])
 
         def only(batches):
             for t in batches:
