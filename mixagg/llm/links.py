@@ -7,7 +7,9 @@ listing all pairs of a group:
 1. in each key's group, ordered by size, a set is paired with the smallest set that its size allows and with its
    predecessor; these pairs are bounded by bitmaps, then intersected exactly, and give components;
 2. groups that still hold several components are cut into tiles of size-ordered blocks; only pairs from different
-   components whose sizes, positions and bitmaps allow a link are intersected exactly.
+   components whose sizes, positions and bitmaps allow a link are intersected exactly.  A tile with more such pairs
+   than a few per row first names each row's most likely partner; links found so merge components, and the tile is
+   searched again, until such a turn finds nothing and all pairs that are left are tested.
 
 Pairs within a component need no test: they can't change the result.
 """
@@ -26,6 +28,7 @@ from mixagg.llm.textkit import binary_array, grouped, mix
 BITS = 512  # of a bitmap signature
 TILE_ROWS = 4096
 PAIRS_AT_ONCE = 1 << 17  # of a tile, held in memory together
+PAIRS_PER_ROW = 2  # beyond which a tile first names likely partners only
 HASH_BITS = 58  # of a shingle key; the bits above hold its frequency class
 
 
@@ -199,8 +202,19 @@ def components(edges: DataFrame) -> DataFrame:
     return cur.select(F.col("u").alias("node"), F.col("v").alias("comp")).unionByName(cur.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
 
 
-def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: int) -> DataFrame:
-    """Round 2: pairs of different components that share a key and may be links."""
+def likely(i: np.ndarray, j: np.ndarray, score: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Of these pairs those that are some row's pair of the highest score (the first of ties)."""
+    row, at = np.r_[i, j], np.tile(np.arange(len(i)), 2)
+    order = np.lexsort((at, -score[at], row))
+    best = np.unique(at[order[np.r_[True, row[order][1:] != row[order][:-1]]]]) if len(i) else at
+    return i[best], j[best], score[best]
+
+
+def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: int, whole: bool) -> DataFrame:
+    """Round 2: pairs (a, b) of different components that share a key and may be links.
+
+    Unless ``whole``, tiles with many pairs give each row's likeliest only and mark them ``partial``.
+    """
     rows = shared.select("key", "setid", "n", "pos").join(comps.select(F.col("node").alias("setid"), "comp"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     mixed = rows.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("c")).where("lo != hi").select("key", F.ceil(F.col("c") / TILE_ROWS).alias("blocks"))
     tiles = rows.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("setid"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
@@ -216,7 +230,7 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
         other = turn[np.searchsorted(turn, np.arange(size))] + 1  # next row of another component
         width = np.maximum(to - other, 0)
         total = np.cumsum(width)
-        bits, got, lo = _blob(cols["bitmap"], BITS // 8), [], 0
+        bits, got, lo, partial, held = _blob(cols["bitmap"], BITS // 8), [], 0, False, 0
         while lo < size:
             base = total[lo - 1] if lo else 0
             hi = max(int(np.searchsorted(total, base + PAIRS_AT_ONCE, side="right")), lo + 1)
@@ -226,18 +240,27 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
             ok = (comp[i] != comp[j]) & (inner[i] | (blk[i] != blk[j])) & (np.minimum(n[i] - pos[i], n[j] - pos[j]) >= needed(n[i], n[j], percent))
             i, j = i[ok], j[ok]
             if len(i):
-                ok = overlap_bound(bits[i], bits[j], n[i], n[j]) >= needed(n[i], n[j], percent)
-                got.append((np.minimum(s[i[ok]], s[j[ok]]), np.maximum(s[i[ok]], s[j[ok]])))
+                most = overlap_bound(bits[i], bits[j], n[i], n[j])
+                ok = most >= needed(n[i], n[j], percent)
+                i, j, most = i[ok], j[ok], most[ok]
+                got.append((i, j, most / (n[i] + n[j])))
+                held += len(i)
+                if not whole and held > PAIRS_PER_ROW * size:
+                    partial, got = True, [likely(*(np.concatenate(v) for v in zip(*got)))]
+                    held = len(got[0][0])
         if not got:
             return None
-        x, y = (np.concatenate(v) for v in zip(*got))
+        i, j, score = (np.concatenate(v) for v in zip(*got))
+        if partial:
+            i, j, _ = likely(i, j, score)
+        x, y = np.minimum(s[i], s[j]), np.maximum(s[i], s[j])
         order = np.lexsort((y, x))
         x, y = x[order], y[order]
         new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])][: len(x)])
-        return pa.record_batch([pa.array(x[new]), pa.array(y[new])], ["a", "b"])
+        return pa.record_batch([pa.array(x[new]), pa.array(y[new]), pa.array(np.full(len(new), partial))], ["a", "b", "partial"])
 
-    found = full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long")
-    return found.distinct()
+    found = full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long, partial boolean")
+    return found.groupBy("a", "b").agg(F.bool_or("partial").alias("partial"))
 
 
 def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75) -> DataFrame:
@@ -246,12 +269,17 @@ def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75) -> Da
     kept = saved(bounded(pairs, sets, percent))
     links = saved(linked(kept, sets, fetch, percent))
     comps = saved(components(links))
-    more = saved(mixed_pairs(shared, sets, comps, percent).join(kept, ["a", "b"], "left_anti"))
-    more = saved(bounded(more, sets, percent))
-    if more.isEmpty():
-        return comps
-    second = saved(linked(more, sets, fetch, percent))
-    return comps if second.isEmpty() else saved(components(links.unionByName(second)))
+    tested, whole = kept, False
+    while True:
+        found = saved(mixed_pairs(shared, sets, comps, percent, whole))
+        more = saved(bounded(found.select("a", "b").join(tested, ["a", "b"], "left_anti"), sets, percent))
+        second = None if more.isEmpty() else saved(linked(more, sets, fetch, percent))
+        whole = second is None or second.isEmpty()
+        if not whole:
+            tested, links = tested.unionByName(more), links.unionByName(second)
+            comps = saved(components(links))
+        if found.where("partial").isEmpty():
+            return comps
 
 
 def keys_column(values: list[np.ndarray]) -> pa.Array:
