@@ -221,6 +221,8 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
     lo, hi = F.least("block", "other"), F.greatest("block", "other")
     full = tiles.join(sets.select("setid", "bitmap"), "setid").select(F.xxhash64("key", lo, hi).alias("tile"), "setid", "n", "pos", "comp", "block", (lo == hi).alias("inner"), "bitmap")
 
+    per_row = PAIRS_PER_ROW
+
     def search(cols, starts):
         n, pos, comp, blk, s, inner = (cols[c] for c in ("n", "pos", "comp", "block", "setid", "inner"))
         size = len(n)
@@ -245,7 +247,7 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
                 i, j, most = i[ok], j[ok], most[ok]
                 got.append((i, j, most / (n[i] + n[j])))
                 held += len(i)
-                if not whole and held > PAIRS_PER_ROW * size:
+                if not whole and held > per_row * size:
                     partial, got = True, [likely(*(np.concatenate(v) for v in zip(*got)))]
                     held = len(got[0][0])
         if not got:

@@ -55,7 +55,9 @@ def roots(n, edges):
     return [find(x) for x in range(n)]
 
 
-def test_ngram_join_is_exact(spark):
+@pytest.mark.parametrize("per_row", [links.PAIRS_PER_ROW, 0])  # 0: tiles always name likely partners first
+def test_ngram_join_is_exact(spark, monkeypatch, per_row):
+    monkeypatch.setattr(links, "PAIRS_PER_ROW", per_row)
     texts = fixture()
     sets = [shingle_set(t) for t in texts]
     edges = [(i, j) for i in range(len(texts)) for j in range(i) if sets[i] and sets[j] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])]
@@ -76,6 +78,16 @@ def test_components_of_long_chains(spark):
     assert all(want[k] == v for k, v in got.items()) and set(got) == {x for a, b in edges if a != b for x in (a, b)}
 
 
+def test_likely_partners_cover_every_row():
+    r = np.random.default_rng(3)
+    i = r.integers(0, 20, 200)
+    j, score = i + r.integers(1, 20, 200), r.integers(0, 5, 200) / 5
+    a, b, s = links.likely(i, j, score)
+    for row in {*i.tolist(), *j.tolist()}:
+        assert s[(a == row) | (b == row)].max() == score[(i == row) | (j == row)].max()
+    assert len(a) <= len({*i.tolist(), *j.tolist()})
+
+
 def test_overlap_bounds_hold():
     r = np.random.default_rng(0)
     for _ in range(50):
