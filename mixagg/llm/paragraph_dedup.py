@@ -1,10 +1,11 @@
 """Substring dedup by paragraphs: MinHash bands, exact Jaccard, components, removal of all but the first.
 
-Paragraphs are the lines of a text with at least ``min_words`` words.  Band keys are hashes of ``rows`` MinHash values;
-12 bands of 3 rows find a pair of similarity 0.75 with probability 0.9986 and surely find equal paragraphs.  Candidates
-are verified exactly (see ``links``); of each component the paragraph with the smallest (doc_id, position) stays.
+Paragraphs are the lines of a text with at least ``min_words`` words: by default all that hold one full shingle.  Band
+keys are hashes of ``rows`` MinHash values; 12 bands of 3 rows find a pair of similarity 0.75 with probability 0.9986.
+Equal sets are one set whatever their bands, and sets too small to be similar to any other have none.  Candidates are
+verified exactly (see ``links``); of each component the paragraph with the smallest (doc_id, position) stays.
 
-Defined cases: a null or empty text has no paragraphs; lines with fewer words are never removed; repeated paragraphs of
+Defined cases: a null or empty text has no paragraphs; lines with fewer words than a shingle are no paragraphs; repeated paragraphs of
 one document count like others; extra columns are ignored (``remove_paragraphs`` passes them on); an empty table gives
 no rows.  Ids are taken as unique; rows with the same id share their paragraphs' fate by position.
 """
@@ -16,12 +17,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
+from mixagg.llm.links import BITS, HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
 from mixagg.llm.ngram_join import set_id
 from mixagg.llm.session import saved
 from mixagg.llm.textkit import LOWER_CODE, Texts, binary_array, list_array, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
 
-MIN_WORDS, BANDS, ROWS = 20, 12, 3
+MIN_WORDS, BANDS, ROWS = 5, 12, 3  # the words of one shingle
 
 
 class Paragraphs:
@@ -85,7 +86,15 @@ class Paragraphs:
         return out
 
 
-def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+def wide_column(p: Paragraphs, one: np.ndarray, bits: np.ndarray) -> pa.Array:
+    """``wide_bitmap`` of the chosen paragraphs; most are no wider than their rows of ``bits``, which turn in one pass."""
+    narrow = 2 * p.n[one] <= BITS
+    turned = np.packbits(np.unpackbits(bits, axis=1), axis=1, bitorder="little")
+    blobs = [turned[k].tobytes() if narrow[k] else wide_bitmap(p.set_keys(i)) for k, i in enumerate(one)]
+    return pa.array(blobs, pa.binary())
+
+
+def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool, percent: int = 75, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, line, start, stop (bytes), n_words, setid of each paragraph; with keys: n, bands and bitmap too."""
 
     def run(part, texts):
@@ -97,8 +106,9 @@ def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool
         if with_keys:
             _, one = np.unique(p.set_ids(), return_index=True)  # copies in a batch are one set: the first
             bits = bitmaps(p.keys, p.owner, len(p))[one]
-            columns = [c.take(pa.array(one)) for c in columns] + [pa.array(p.n[one]), list_array(p.bands(bands, rows)[one].ravel().view(np.int64), np.full(len(one), bands)), binary_array(bits.tobytes(), np.full(len(one), bits.shape[1]))]
-            columns.append(pa.array([wide_bitmap(p.set_keys(i)) for i in one], pa.binary()))
+            linkable = 100 * p.n[one] >= percent * (p.n[one] + 1)  # a different set can reach the similarity
+            columns = [c.take(pa.array(one)) for c in columns] + [pa.array(p.n[one]), list_array(p.bands(bands, rows)[one[linkable]].ravel().view(np.int64), np.where(linkable, bands, 0)), binary_array(bits.tobytes(), np.full(len(one), bits.shape[1]))]
+            columns.append(wide_column(p, one, bits))
             names += ["n", "bands", "bitmap", "wide"]
         return pa.record_batch(columns, names)
 
@@ -131,7 +141,7 @@ def fetch_paragraphs(docs: DataFrame, width: int, min_words: int):
 def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min_words: int = MIN_WORDS, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """Each paragraph of a component of several: its place, the place of the one that stays, and ``removed``."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    found = paragraph_table(docs, width, min_words, with_keys=True)
+    found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
     sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
     index = sets.select("setid", "n", F.explode("bands").alias("key")).withColumn("pos", F.lit(0).cast("long"))
     comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_paragraphs(docs, width, min_words), percent)

@@ -144,6 +144,22 @@ def test_paragraphs_keep_their_first_place(spark):
     assert paragraph_dedup.duplicate_paragraphs(df.limit(0)).count() == 0
 
 
+def test_short_lines_are_paragraphs(spark):
+    r = random.Random(16)
+    line = lambda n: " ".join("s%d" % r.randrange(5000) for _ in range(n))
+    wrapped = [line(r.randrange(10, 16)) for _ in range(6)]
+    five, seven = line(5), line(7)
+    near = wrapped[5].split() + ["tail"]  # differs in one shingle of several
+    texts = ["\n".join(wrapped + [five]), line(30) + "\n" + "\n".join(wrapped), five.upper() + "\n" + seven + "\na b c d", "a b c d\n" + seven + " " + "x\n" + seven, " ".join(near)]
+    df = frame(spark, texts)
+    out = {(x.doc_id, x.line): (x.kept_doc_id, x.kept_line, x.removed) for x in paragraph_dedup.duplicate_paragraphs(df).collect()}
+    want = {(0, i): (0, i, False) for i in range(7)} | {(1, i + 1): (0, i, True) for i in range(6)}
+    want |= {(2, 0): (0, 6, True), (4, 0): (0, 5, True), (2, 1): (2, 1, False), (3, 1): (2, 1, True), (3, 2): (2, 1, True)}
+    assert out == want
+    left = {x.doc_id: x.text for x in paragraph_dedup.remove_paragraphs(df).collect()}
+    assert left == {0: texts[0], 1: texts[1].split("\n")[0], 2: seven + "\na b c d", 3: "a b c d"}
+
+
 def base(t):
     t = t or ""
     words = re.findall(r"[^\x20\x09-\x0D]+", t)
