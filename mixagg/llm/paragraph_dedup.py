@@ -1,5 +1,9 @@
 """Substring dedup by paragraphs: MinHash bands, exact Jaccard, components, removal of all but the first.
 
+Passages of ``passage_words`` words that documents share inside longer lines or over lines cut elsewhere are found
+exactly and go too (see ``passages``).  A passage's first place may lie in a line that goes as a near copy of another:
+then the near copy is what stays.
+
 Paragraphs are the lines of a text with at least ``min_words`` words: by default all that hold one full shingle.  Band
 keys are hashes of ``rows`` MinHash values; 12 bands of 3 rows find a pair of similarity 0.75 with probability 0.9986.
 Equal sets are one set whatever their bands, and sets too small to be similar to any other have none.  Candidates are
@@ -19,6 +23,7 @@ from pyspark.sql import functions as F
 
 from mixagg.llm.links import BITS, HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
 from mixagg.llm.ngram_join import set_id
+from mixagg.llm.passages import LENGTH, repeated_passages
 from mixagg.llm.session import saved
 from mixagg.llm.textkit import LOWER_CODE, Texts, binary_array, list_array, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
 
@@ -138,8 +143,13 @@ def fetch_paragraphs(docs: DataFrame, width: int, min_words: int):
     return fetch
 
 
-def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min_words: int = MIN_WORDS, id_col: str = "doc_id", text: str = "text") -> DataFrame:
-    """Each paragraph of a component of several: its place, the place of the one that stays, and ``removed``."""
+def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min_words: int = MIN_WORDS, passage_words: int = LENGTH, id_col: str = "doc_id", text: str = "text") -> DataFrame:
+    """Each paragraph of a component of several: its place, the place of the one that stays, and ``removed``.
+
+    Rows of the unit ``passage`` are stretches of at least ``passage_words`` words, inside a line or over several, that
+    an earlier document has (``removed``) or later ones have, unless a line's row says so already; ``line`` is where they
+    begin, ``component_size`` how many documents have their first ``passage_words`` words.
+    """
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
     sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
@@ -148,18 +158,56 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     places = paragraph_table(docs, width, min_words, with_keys=False).join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     places = saved(places)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
-    out = places.join(first, "comp")
-    return out.select(
+    lines = saved(places.join(first, "comp").select(
         "doc_id", "line", "start", "stop", "n_words", F.col("first.doc_id").alias("kept_doc_id"), F.col("first.line").alias("kept_line"), F.col("size").alias("component_size"),
-        ((F.col("doc_id") != F.col("first.doc_id")) | (F.col("line") != F.col("first.line"))).alias("removed"))
+        ((F.col("doc_id") != F.col("first.doc_id")) | (F.col("line") != F.col("first.line"))).alias("removed"), F.lit("line").alias("unit")))
+    passages = repeated_passages(docs, passage_words).select(
+        "doc_id", "line", "start", "stop", (F.col("last") - F.col("first") + passage_words).alias("n_words"), "kept_doc_id", "kept_line", F.col("places").alias("component_size"),
+        (F.col("doc_id") != F.col("kept_doc_id")).alias("removed"), F.lit("passage").alias("unit"))
+    said = lines.select("doc_id", "line", F.col("start").alias("s"), F.col("stop").alias("e"), F.col("removed").alias("r"))
+    within = (F.col("start") >= F.col("s")) & (F.col("stop") <= F.col("e")) & (F.col("r") | ~F.col("removed"))
+    more = passages.join(said, ["doc_id", "line"], "left").where(~F.coalesce(within, F.lit(False))).select(*lines.columns)
+    return lines.unionByName(more)
+
+
+def without(raw: bytes, lines: set[int], spans: list[tuple[int, int]]) -> bytes:
+    """A text without whole lines and without stretches of bytes; a line that these leave blank goes too."""
+    keep = np.ones(len(raw), bool)
+    for a, b in spans:
+        keep[a:b] = False
+    out, at = [], 0
+    for i, line in enumerate(raw.split(b"\n")):
+        mask = keep[at : at + len(line)]
+        at += len(line) + 1
+        if i not in lines:
+            left = line if mask.all() else np.frombuffer(line, np.uint8)[mask].tobytes()
+            if left == line or left.strip():
+                out.append(left)
+    return b"\n".join(out)
 
 
 def remove_paragraphs(docs: DataFrame, id_col: str = "doc_id", text: str = "text", **options) -> DataFrame:
-    """``docs`` without its removed paragraphs; all other lines stay; a text left blank leaves no row."""
+    """``docs`` without its removed paragraphs and passages; all else stays; a text left blank leaves no row."""
     gone = duplicate_paragraphs(docs, id_col=id_col, text=text, **options).where("removed")
-    lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set("line").alias("__gone"))
-    joined = docs.join(lists, docs[id_col] == lists["__id"], "left")
-    lines = F.split(F.col(text), "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains("__gone", i.cast("long"))), "\n")
-    changed = joined.withColumn(text, F.when(F.col("__gone").isNull(), F.col(text)).otherwise(kept))
-    return changed.where(F.col("__gone").isNull() | F.col(text).rlike(r"\S")).select(*docs.columns)
+    span = F.when(F.col("unit") == "passage", F.struct("start", "stop"))
+    lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set(F.when(F.col("unit") == "line", F.col("line"))).alias("__lines"), F.collect_list(span["start"]).alias("__starts"), F.collect_list(span["stop"]).alias("__stops"))
+    joined = docs.join(lists, docs[id_col] == lists["__id"], "left").select(*docs.columns, "__lines", "__starts", "__stops")
+    place, width = docs.columns.index(text), len(docs.columns)
+
+    def cut(batches):
+        for t in batches:
+            hit = t.column(width).is_valid().to_numpy(zero_copy_only=False)
+            values = t.column(place)
+            if hit.any():
+                new = values.to_pylist()
+                for i in np.flatnonzero(hit).tolist():
+                    lines, starts, stops = (t.column(width + k)[i].as_py() for k in range(3))
+                    left = without(new[i].encode(), set(lines), list(zip(starts, stops)))
+                    new[i] = left.decode() if left.strip() else None
+                values = pa.array(new, values.type)
+            keep = ~hit | values.is_valid().to_numpy(zero_copy_only=False)
+            columns = [values if k == place else t.column(k) for k in range(width)]
+            yield pa.record_batch(columns, docs_columns).filter(pa.array(keep))
+
+    docs_columns = docs.columns
+    return joined.mapInArrow(cut, docs.schema)

@@ -7,7 +7,7 @@ import re
 import numpy as np
 import pytest
 
-from mixagg.llm import links, ngram_join, paragraph_dedup, quality, suffix_dedup
+from mixagg.llm import links, ngram_join, paragraph_dedup, passages, quality, suffix_dedup
 
 ODD = [None, "", "   \n", "one two", "One TWO", "日本 " * 70, "x" * 3000, "a b c d e " * 80, "é\n" * 60]
 
@@ -160,6 +160,43 @@ def test_short_lines_are_paragraphs(spark):
     assert left == {0: texts[0], 1: texts[1].split("\n")[0], 2: seven + "\na b c d", 3: "a b c d"}
 
 
+def test_passages_inside_and_over_lines_are_found(spark):
+    r = random.Random(26)
+    words = lambda n: ["p%d" % r.randrange(9000) for _ in range(n)]
+    passage, short = words(51), words(50)
+    wrap = lambda w, k: "\n".join(" ".join(w[i : i + k]) for i in range(0, len(w), k))
+    lead, tail = words(60), words(70)
+    texts = [" ".join(words(80) + passage + words(40)), " ".join(lead + [x.upper() for x in passage] + tail), wrap(passage, 4), wrap(words(30) + passage + words(30), 7),
+             " ".join(words(70) + short + words(80)), " ".join(words(70) + short + words(80)), " ".join(words(20) * 9)]
+    df = frame(spark, texts)
+    out = [x for x in paragraph_dedup.duplicate_paragraphs(df).collect()]
+    cover = {}  # removed words of each document
+    for x in out:
+        if x.removed:
+            assert x.unit == "passage" and x.kept_doc_id == 0 and x.n_words == 51
+            cover.setdefault(x.doc_id, []).extend(texts[x.doc_id].encode()[x.start : x.stop].decode().lower().split())
+    assert cover == {i: passage for i in (1, 2, 3)}
+    assert [(x.doc_id, x.component_size) for x in out if x.unit == "passage" and not x.removed] == [(0, 4)]
+    left = {x.doc_id: x.text for x in paragraph_dedup.remove_paragraphs(df).collect()}
+    assert left.keys() == {0, 1, 3, 4, 5, 6} and left[1].split() == lead + tail and len(left[3].split()) == 60
+    assert all(left[i] == texts[i] for i in (0, 4, 5, 6))
+
+
+def test_windows_meet_brute_force(spark):
+    texts = fixture(31, 40)
+    got = {}
+    for x in passages.repeated_passages(frame(spark, texts).select("doc_id", "text"), 12).collect():
+        if x.kept_doc_id != x.doc_id:
+            got.setdefault(x.doc_id, set()).update(range(x.first, x.last + 1))
+    seen, want = {}, {}
+    for i, t in enumerate(texts):
+        w = re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: m[0].lower(), (t or "").encode()))
+        for k in range(len(w) - 11):
+            if seen.setdefault(tuple(w[k : k + 12]), i) < i:
+                want.setdefault(i, set()).add(k)
+    assert want and got == want
+
+
 def base(t):
     t = t or ""
     words = re.findall(r"[^\x20\x09-\x0D]+", t)
