@@ -14,7 +14,7 @@ from mixagg.llm.session import saved, table
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rules reject go."""
-    return quality.filter_documents(docs)
+    return quality.filter_documents(docs, labels=table(spark, sf_dir, "labels"))
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

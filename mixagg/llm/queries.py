@@ -24,7 +24,7 @@ def op1_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge_documents(table(spark, sf_dir, "documents"))
+    return quality.judge_documents(table(spark, sf_dir, "documents"), labels=table(spark, sf_dir, "labels"))
 
 
 def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

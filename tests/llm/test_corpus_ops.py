@@ -220,6 +220,31 @@ def test_quality_counts_and_verdicts(spark):
     assert quality.judge_documents(df.limit(0)).count() == 0
 
 
+def test_bands_reject_planted_junk_and_keep_clean_text(spark):
+    r = random.Random(41)
+    parts = {"en": "the er ing an tion ou st re", "de": "ung sch ein ber ü ß keit en", "es": "ción ado ñ que os ll ar í", "fr": "eau ment é ç tion oi le è"}
+    rows, labels, junk = [], [], set()
+    for name, p in parts.items():
+        text = lambda n: ["".join(r.choices(p.split(), k=3)) for _ in range(n)]  # noqa: B023, E731
+        spoil = [lambda: " ".join(w + r.choice(["%%%", "***", "$$$", "&&&"]) for w in text(90)), lambda: " | ".join(text(90)), lambda: " ".join(w.upper() + "!!" for w in text(90))]  # noqa: B023
+        for k in range(120):
+            bad = k % 4 == 3
+            i = len(rows)
+            rows.append((i, spoil[k // 4 % 3]() if bad else " ".join(text(90)) + ".", name))
+            if bad:
+                junk.add(i)
+            if k < 80:
+                labels.append((i, 0 if bad else 1))
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(3)
+    told = spark.createDataFrame(labels, "doc_id long, quality int")
+    verdict = {x.doc_id: x for x in quality.judge_documents(df, labels=told).collect()}
+    assert not any(x.base_failed for x in verdict.values())
+    assert {i for i, x in verdict.items() if not x.kept} & junk == junk
+    for name in parts:
+        clean = [i for i, _, n in rows if n == name and i not in junk]
+        assert sum(verdict[i].kept for i in clean) >= 0.95 * len(clean)
+
+
 def test_model_probabilities_sum_to_one():
     r = np.random.default_rng(5)
     code, n = np.unique(r.integers(0, 1 << 13, 4000).astype(np.uint32), return_counts=True)
