@@ -103,14 +103,16 @@ class Pretokens:
 
 
 class PretokenCache:
-    """Direct-mapped memory from a pre-token's hash to an index into lists the caller keeps.
+    """Direct-mapped memory from a pre-token to an index into lists the caller keeps.
 
-    ``encode(strings)`` makes the entries of pre-tokens not found.  Size is bounded: a slot keeps the last
-    pre-token that fell on it, and after ``limit`` entries everything starts afresh.
+    A pre-token is looked up by its hash, and its code points are compared with the entry's on every hit, so pre-tokens
+    whose hashes collide are told apart.  ``encode(strings)`` makes the entries of pre-tokens not found.  Size is
+    bounded: a slot keeps the last pre-token that fell on it, and after ``limit`` entries or ``room`` code points
+    everything starts afresh.
     """
 
-    def __init__(self, encode: Callable[[list[str]], list], bits: int = 19, limit: int = 400_000) -> None:
-        self.encode, self.mask, self.limit = encode, np.uint64((1 << bits) - 1), limit
+    def __init__(self, encode: Callable[[list[str]], list], bits: int = 19, limit: int = 400_000, room: int = 1 << 24) -> None:
+        self.encode, self.mask, self.limit, self.room = encode, np.uint64((1 << bits) - 1), limit, room
         self.reset()
 
     def reset(self) -> None:
@@ -118,20 +120,56 @@ class PretokenCache:
         self.key = np.zeros(size, np.uint64)
         self.at = np.full(size, -1, np.int64)
         self.entries: list = []
+        self.points, self.used = np.zeros(1 << 16, np.uint32), 0  # the entries' code points, one after the other
+        self.begin = np.zeros(1 << 12, np.int64)  # of each entry; the next entry's is its end
+
+    def _keep(self, points: np.ndarray, sizes: np.ndarray) -> None:
+        """Appends the code points of new entries."""
+        base = len(self.entries)
+        if self.used + len(points) > len(self.points):
+            self.points = np.r_[self.points[: self.used], np.zeros(self.used + len(points), np.uint32)]
+        if base + len(sizes) + 1 > len(self.begin):
+            self.begin = np.r_[self.begin[: base + 1], np.zeros(base + len(sizes) + 1, np.int64)]
+        self.points[self.used : self.used + len(points)] = points
+        self.begin[base + 1 : base + 1 + len(sizes)] = self.used + np.cumsum(sizes)
+        self.used += len(points)
 
     def lookup(self, tokens: Pretokens) -> np.ndarray:
         """For each pre-token the index of its entry in ``entries``."""
-        if len(self.entries) > self.limit:
+        if len(self.entries) > self.limit or self.used > self.room:
             self.reset()
+        size = tokens.end - tokens.start
         slot = (tokens.hash & self.mask).astype(np.int64)
         out = np.where(self.key[slot] == tokens.hash, self.at[slot], -1)
+        hit = np.flatnonzero(out >= 0)
+        out[hit[differ(tokens.cp, tokens.start[hit], size[hit], self.points, self.begin[out[hit]], self.begin[out[hit] + 1] - self.begin[out[hit]])]] = -1
         missing = np.flatnonzero(out < 0)
-        if len(missing):
+        while len(missing):
             hashes, first, back = np.unique(tokens.hash[missing], return_index=True, return_inverse=True)
+            lead = missing[first]
             base = len(self.entries)
-            self.entries.extend(self.encode([tokens.string(i) for i in missing[first]]))
+            self._keep(tokens.cp[runs(tokens.start[lead], size[lead])], size[lead])
+            self.entries.extend(self.encode([tokens.string(i) for i in lead]))
             out[missing] = base + back
             slot = (hashes & self.mask).astype(np.int64)
             self.key[slot], self.at[slot] = hashes, base + np.arange(len(hashes))
             # of several new hashes on one slot numpy keeps the last for both arrays alike
+            like = lead[back]
+            missing = missing[differ(tokens.cp, tokens.start[missing], size[missing], tokens.cp, tokens.start[like], size[like])]
         return out
+
+
+def runs(start: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """The indices start, start + 1, ... of each piece, one piece after the other."""
+    return np.repeat(start - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
+
+
+def differ(x: np.ndarray, xs: np.ndarray, xn: np.ndarray, y: np.ndarray, ys: np.ndarray, yn: np.ndarray) -> np.ndarray:
+    """Which pieces of ``x`` differ from their pieces of ``y`` in size or content."""
+    out = xn != yn
+    same = np.flatnonzero(~out & (xn > 0))
+    n = xn[same]
+    apart = x[runs(xs[same], n)] != y[runs(ys[same], n)]
+    if apart.any():
+        out[same[np.repeat(np.arange(len(same)), n)[apart]]] = True
+    return np.flatnonzero(out)

@@ -61,7 +61,7 @@ def anchors(texts: Texts, length: int) -> tuple[np.ndarray, np.ndarray, np.ndarr
     if grams < span:
         return none, none.view(np.uint64), none, none, prefix
     _, down = powers(n + 1)
-    h = mix((prefix[GRAM:] - prefix[:-GRAM]) * down[:grams])
+    h = mix((prefix.sums[GRAM:] - prefix.sums[:-GRAM]) * down[:grams])
     low = _slide(h, span, np.minimum)  # by window start
     doc = np.repeat(np.arange(len(texts)), np.diff(texts.off))
     valid = doc[: len(low)] == doc[length - 1 :]

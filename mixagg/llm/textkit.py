@@ -11,6 +11,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 
 MAX_BYTES = 1 << 18  # array passes stay in the cache
 _BASE = 0x9E3779B97F4A7C15 | 1
@@ -64,18 +65,33 @@ class _Powers:
 powers = _Powers()
 
 
-def prefix_hash(codes: np.ndarray) -> np.ndarray:
-    """P with P[i] the polynomial of the first i codes; pieces hash by ``span_hash``."""
-    up, _ = powers(len(codes) + 1)
-    out = np.zeros(len(codes) + 1, np.uint64)
-    np.cumsum(codes * up[: len(codes)], out=out[1:])
-    return out
+LONG = 256  # codes; polynomials modulo 2**64 keep apart what is shorter, but not all regular strings of 1024
+
+
+class Prefix:
+    """Codes and their prefix sums as a polynomial modulo 2**64; pieces hash by ``span_hash``."""
+
+    def __init__(self, codes: np.ndarray) -> None:
+        up, _ = powers(len(codes) + 1)
+        self.codes, self.sums = codes, np.zeros(len(codes) + 1, np.uint64)
+        np.cumsum(codes * up[: len(codes)], out=self.sums[1:])
+
 
+def prefix_hash(codes: np.ndarray) -> Prefix:
+    return Prefix(codes)
 
-def span_hash(prefix: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit content hashes of the pieces [start, end), equal for equal contents wherever they stand."""
-    _, down = powers(len(prefix))
-    return mix((prefix[end] - prefix[start]) * down[start] ^ (end - start).astype(np.uint64))
+
+def span_hash(prefix: Prefix, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """64-bit content hashes of the pieces [start, end), equal for equal contents wherever they stand.
+
+    Pieces of more than ``LONG`` codes are hashed one by one by XXH3, which regular strings don't make collide.
+    """
+    _, down = powers(len(prefix.sums))
+    size = end - start
+    out = mix((prefix.sums[end] - prefix.sums[start]) * down[start] ^ size.astype(np.uint64))
+    for i in np.flatnonzero(size > LONG).tolist():
+        out[i] = xxhash.xxh3_64_intdigest(prefix.codes[start[i] : end[i]])
+    return out
 
 
 class Texts:
