@@ -5,31 +5,40 @@ from index rows (key, set): sets that share a key.  Two rounds find every link t
 listing all pairs of a group:
 
 1. in each key's group, ordered by size, a set is paired with the smallest set that its size allows and with its
-   predecessor; these pairs are bounded by bitmaps, then intersected exactly, and give components;
-2. groups that still hold several components are cut into tiles of size-ordered blocks; only pairs from different
-   components whose sizes, positions and bitmaps allow a link are intersected exactly.  A tile with more such pairs
-   than a few per row first names each row's most likely partner; links found so merge components, and the tile is
-   searched again, until such a turn finds nothing and all pairs that are left are tested.
-
-Pairs within a component need no test: they can't change the result.
+   predecessor; pairs that many keys name are intersected exactly and give components.  This only steers the work;
+2. index rows are dealt to size-banded tiles: a tile is a key and a band of sizes, each band ``100 / percent`` times as
+   wide as the one below.  A set is at home in its own band's tile and a guest in the next band's, if its position
+   still allows a link there; so each pair of sizes that may link meets in the larger one's tile.  Tiles with several
+   components get their sets' hashed bitmaps, and only pairs from different components whose sizes, positions and bit
+   counts allow a link leave the task, to be intersected exactly.  Tiles with far more such pairs than rows first name
+   each row's likeliest partner; links found so merge components, and those tiles are searched again, until such a
+   turn finds nothing and all pairs that are left are tested.
+
+Pairs within a component need no test: they can't change the result.  Tiles of more than ``TILE_ROWS`` rows are cut
+into blocks that meet pairwise, but for rows of a tile's largest component, which only meet the other rows.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mixagg.llm import bloom
-from mixagg.llm.session import saved
-from mixagg.llm.textkit import binary_array, grouped, mix
+from mixagg.llm.session import discard, saved
+from mixagg.llm.textkit import grouped, mix
 
-BITS = 512  # of a bitmap signature
+LEAST_BITS, MOST_BITS = 512, 4096  # of a bitmap in a tile
 TILE_ROWS = 4096
-PAIRS_AT_ONCE = 1 << 17  # of a tile, held in memory together
-PAIRS_PER_ROW = 2  # beyond which a tile first names likely partners only
+BYTES_AT_ONCE = 1 << 24  # of bitmaps that a task compares together
+PAIRS_PER_ROW = 4  # beyond which a tile first names likely partners only
+NEIGHBOURS = 8  # in a small group, tested one by one
+FOREST_EDGES = 200_000  # of a task that joins edges to trees
 HASH_BITS = 58  # of a shingle key; the bits above hold its frequency class
+HOT_CLASS = 12  # binary logarithm of the rows from which a key's group is salted
 
 
 def places(mixed: np.ndarray) -> np.ndarray:
@@ -41,19 +50,29 @@ def mixed_keys(keys: np.ndarray) -> np.ndarray:
     return mix(keys & np.uint64((1 << HASH_BITS) - 1))
 
 
-def bitmaps(keys: np.ndarray, owner: np.ndarray, n: int, at: np.ndarray | None = None) -> np.ndarray:
-    """n bitmaps of BITS bits: each key sets one."""
-    grid = np.zeros((n, BITS), np.uint8)
-    grid[owner, (places(mixed_keys(keys)) if at is None else at) % BITS] = 1
-    return np.packbits(grid, axis=1)
+def widths(n: np.ndarray) -> np.ndarray:
+    """The bits of each set's bitmap: at least two a member, a power of two."""
+    return np.maximum(LEAST_BITS, 1 << np.ceil(np.log2(np.maximum(2 * n, 2))).astype(np.int64))
+
 
+def bitmap_columns(at: np.ndarray, n: np.ndarray) -> tuple[pa.Array, pa.Array]:
+    """(bitmap of at most MOST_BITS, whole bitmap where that is wider) of neighbouring sets with members' places ``at``."""
+    wide = widths(n)
+    capped = np.minimum(wide, MOST_BITS)
 
-def wide_bitmap(keys: np.ndarray, at: np.ndarray | None = None) -> bytes:
-    """A bitmap with at least two bits a member, in a power of two, for one set."""
-    bits = max(BITS, 1 << (2 * max(len(keys), 1) - 1).bit_length())
-    row = np.zeros(bits, np.uint8)
-    row[(places(mixed_keys(keys)) if at is None else at) & (bits - 1)] = 1
-    return np.packbits(row, bitorder="little").tobytes()
+    def build(width: np.ndarray, at: np.ndarray, n: np.ndarray) -> pa.Array:
+        off = np.r_[0, np.cumsum(width)]
+        row = np.zeros(off[-1], np.uint8)
+        row[np.repeat(off[:-1], n) + (at & np.repeat(width - 1, n))] = 1
+        offsets = pa.py_buffer((off // 8).astype(np.int32).tobytes())
+        return pa.Array.from_buffers(pa.binary(), len(width), [None, offsets, pa.py_buffer(np.packbits(row, bitorder="little").tobytes())])
+
+    whole = pa.nulls(len(n), pa.binary())
+    large = wide > capped
+    if large.any():
+        index = np.where(large, np.cumsum(large) - 1, -1)
+        whole = build(wide[large], at[np.repeat(large, n)], n[large]).take(pa.array(index, mask=~large))
+    return build(capped, at, n), whole
 
 
 def wide_bound(x: bytes, y: bytes, n1: int, n2: int) -> int:
@@ -71,57 +90,73 @@ def needed(n1: np.ndarray, n2: np.ndarray, percent: int) -> np.ndarray:
     return -(-percent * (n1 + n2) // (100 + percent))
 
 
-def overlap_bound(b1: np.ndarray, b2: np.ndarray, n1: np.ndarray, n2: np.ndarray) -> np.ndarray:
-    """An upper bound on the overlap: each bit that only one side sets stands for a member that the other lacks."""
-    w1, w2 = b1.view(np.uint64), b2.view(np.uint64)
+def overlap_bound(w1: np.ndarray, w2: np.ndarray, n1: np.ndarray, n2: np.ndarray) -> np.ndarray:
+    """An upper bound on the overlap from rows of bitmap words: a bit that only one side sets stands for a member that the other lacks."""
     return np.minimum(n1 - np.bitwise_count(w1 & ~w2).sum(1).astype(np.int64), n2 - np.bitwise_count(w2 & ~w1).sum(1).astype(np.int64))
 
 
-def _blob(column: pa.Array, width: int) -> np.ndarray:
-    """Binary values of one width as rows of bytes, without copying them."""
-    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
-    first = int(np.frombuffer(column.buffers()[1], np.int32)[column.offset])
-    return np.frombuffer(column.buffers()[2], np.uint8)[first : first + len(column) * width].reshape(-1, width)
+def folded(column: pa.Array, rows: np.ndarray, width: int) -> np.ndarray:
+    """The bitmaps of ``rows`` as words, folded to ``width`` bits."""
+    off = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    data = np.frombuffer(column.buffers()[2], np.uint8)
+    size = off[rows + 1] - off[rows]
+    out = np.zeros((len(rows), width // 8), np.uint8)
+    for part in range(int(size.max()) // (width // 8)):
+        has = np.flatnonzero(size > part * (width // 8))
+        out[has] |= data[(off[rows[has]] + part * (width // 8))[:, None] + np.arange(width // 8)]
+    return out.view(np.uint64)
 
 
-def first_pairs(index: DataFrame, percent: int) -> tuple[DataFrame, DataFrame]:
-    """Round 1: (index rows of keys that several sets have, pairs a < b).
+def shared_rows(index: DataFrame, percent: int) -> DataFrame:
+    """Index rows of keys that several sets have and whose sizes and positions let some of those sets link; with each row
+    its group's leader (the smallest set that its size allows) and its predecessor.
 
-    Keys whose frequency class says that thousands of sets share them are salted by set; the salted groups' leaders
-    are joined by one more pair each.
+    Keys whose frequency class says that thousands of sets share them are salted by set, and all their rows are kept.
     """
     high = F.shiftrightunsigned("key", HASH_BITS)
-    hot = high >= 12
-    salt = F.when(hot, F.pmod(F.xxhash64("setid"), F.pow(F.lit(2.0), high - 11).cast("long"))).otherwise(F.lit(0).cast("long"))
+    hot = high >= HOT_CLASS
+    salt = F.when(hot, F.pmod(F.xxhash64("setid"), F.pow(F.lit(2.0), high - HOT_CLASS + 1).cast("long"))).otherwise(F.lit(0).cast("long"))
     rows = index.select("key", "setid", "n", "pos").withColumn("group", F.xxhash64("key", salt)).withColumn("hot", hot)
 
     def lead(cols, starts):
-        g, n, size = cols["group"], cols["n"].astype(np.int64), len(cols["group"])
-        idx = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, size]))
+        g, n, pos, size = cols["group"], cols["n"].astype(np.int64), cols["pos"].astype(np.int64), len(cols["group"])
+        many = np.diff(np.r_[starts, size])
+        idx = np.repeat(np.arange(len(starts)), many)
         order = idx * (1 << 32) + n  # rising: groups, then sizes
         leader = np.searchsorted(order, idx * (1 << 32) - (-percent * n // 100))
         before = np.maximum(np.arange(size) - 1, starts[idx])
-        keep = np.diff(np.r_[starts, size])[idx] > 1
-        keep |= cols["hot"].astype(bool)
+        keep = cols["hot"].astype(bool)
+        for d in range(1, min(NEIGHBOURS, size)):  # all pairs of small groups; in large ones neighbours by size only
+            i = np.flatnonzero((idx[d:] == idx[:-d]) & (percent * n[d:] <= 100 * n[:-d]) & ((many[idx[d:]] <= NEIGHBOURS) | (d == 1)))
+            ok = (np.minimum(n[i] - pos[i], n[i + d] - pos[i + d]) >= needed(n[i], n[i + d], percent)) | (many[idx[i]] > NEIGHBOURS)
+            keep[i[ok]] = keep[i[ok] + d] = True
         at = np.flatnonzero(keep)
         if not len(at):
             return None
         s = cols["setid"]
-        return pa.record_batch([pa.array(x) for x in (cols["key"][at], s[at], n[at], cols["pos"][at].astype(np.int64), s[leader[at]], n[leader[at]], s[before[at]], n[before[at]], cols["hot"][at].astype(bool))], ["key", "setid", "n", "pos", "leader", "leader_n", "prev", "prev_n", "hot"])
+        return pa.record_batch([pa.array(x) for x in (cols["key"][at], s[at], n[at], pos[at], s[leader[at]], n[leader[at]], s[before[at]], n[before[at]], cols["hot"][at].astype(bool))], ["key", "setid", "n", "pos", "leader", "leader_n", "prev", "prev_n", "hot"])
 
     schema = "key long, setid long, n long, pos long, leader long, leader_n long, prev long, prev_n long, hot boolean"
-    shared = saved(rows.repartition("group").sortWithinPartitions("group", "n", "setid").mapInArrow(grouped("group", lead), schema))
+    return rows.repartition("group").sortWithinPartitions("group", "n", "setid").mapInArrow(grouped("group", lead), schema)
+
+
+def first_pairs(shared: DataFrame, percent: int, rare: int) -> DataFrame:
+    """Round 1: pairs a < b that at least one key in ``rare`` of the smaller set's members names.
+
+    Salted groups' leaders are joined by one more pair each.
+    """
     leaders = shared.where("hot").select("key", "leader", "leader_n").distinct()
     heads = leaders.groupBy("key").agg(F.min(F.struct("leader_n", "leader")).alias("head"))
     across = leaders.join(heads, "key").select(F.col("leader").alias("x"), F.col("leader_n").alias("xn"), F.col("head.leader").alias("y"), F.col("head.leader_n").alias("yn"))
     pairs = shared.select(F.col("setid").alias("x"), F.col("n").alias("xn"), F.inline(F.array(F.struct(F.col("leader").alias("y"), F.col("leader_n").alias("yn")), F.struct(F.col("prev").alias("y"), F.col("prev_n").alias("yn")))))
     pairs = pairs.unionByName(across).where((F.col("x") != F.col("y")) & (100 * F.least("xn", "yn") >= percent * F.greatest("xn", "yn")))
-    return shared, pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    named = pairs.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count("*").alias("keys"), F.min(F.least("xn", "yn")).alias("n"))
+    return named.where(F.col("keys") * rare > F.col("n")).select("a", "b")
 
 
 def bounded(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs whose wide bitmaps (a few percent of the sets' bytes) allow a link."""
-    side = lambda c: sets.select(F.col("setid").alias(c), F.col("n").alias(f"n{c}"), F.col("wide").alias(f"m{c}"))
+    """The pairs whose whole bitmaps (a few percent of the sets' bytes) allow a link."""
+    side = lambda c: sets.select(F.col("setid").alias(c), F.col("n").alias(f"n{c}"), F.coalesce("wide", "bitmap").alias(f"m{c}"))
     joined = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "ma", "mb")
 
     def keep(batches):
@@ -135,7 +170,7 @@ def bounded(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def linked(pairs: DataFrame, sets: DataFrame, fetch, percent: int) -> DataFrame:
-    """The pairs that are links, by exact intersection of sorted arrays.
+    """The pairs that are links, by exact intersection of sorted arrays; a saved table.
 
     ``fetch(reps)`` gives (rep, setid, keys) for at least the sets of the documents in the Bloom filter ``reps``; the
     filter's size follows the number of sets asked for, at most 64 MB, beyond which it only prunes less.
@@ -159,36 +194,43 @@ def linked(pairs: DataFrame, sets: DataFrame, fetch, percent: int) -> DataFrame:
                 ok[i] = 100 * both >= percent * (len(p) + len(q) - both)
             yield t.select([0, 1]).filter(pa.array(ok))
 
-    return joined.mapInArrow(test, "a long, b long")
+    out = saved(joined.mapInArrow(test, "a long, b long"))
+    discard(asked, arrays)
+    return out
 
 
-def components(edges: DataFrame) -> DataFrame:
-    """(node, comp): the smallest node that each node of the undirected ``edges`` (a, b) reaches.
+def _forest(batches):
+    """Star edges (node, root) of the trees that a partition's edges join."""
+    root: dict[int, int] = {}
 
-    Partitions first reduce their edges to a spanning forest; then nodes and their smallest neighbours are contracted
-    in turns (large and small stars) until all edges are stars.  Only aggregates and joins: no list of a node's edges.
-    """
+    def find(x: int) -> int:
+        while (p := root.setdefault(x, x)) != x:
+            root[x] = root[p]
+            x = root[x]
+        return x
 
-    def forest(batches):
-        root: dict[int, int] = {}
+    for t in batches:
+        for a, b in zip(t.column(0).to_pylist(), t.column(1).to_pylist()):
+            a, b = find(a), find(b)
+            if a != b:
+                root[max(a, b)] = min(a, b)
+    nodes = [x for x in root if find(x) != x]
+    yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array([find(x) for x in nodes], pa.int64())], ["u", "v"])
 
-        def find(x: int) -> int:
-            while (p := root.setdefault(x, x)) != x:
-                root[x] = root[p]
-                x = root[x]
-            return x
 
-        for t in batches:
-            for a, b in zip(t.column(0).to_pylist(), t.column(1).to_pylist()):
-                a, b = find(a), find(b)
-                if a != b:
-                    root[max(a, b)] = min(a, b)
-        nodes = [x for x in root if find(x) != x]
-        yield pa.record_batch([pa.array(nodes, pa.int64()), pa.array([find(x) for x in nodes], pa.int64())], ["u", "v"])
-
-    cur = saved(edges.select(F.least("a", "b").alias("v"), F.greatest("a", "b").alias("u")).where("u != v").select("u", "v").mapInArrow(forest, "u long, v long").distinct())
+def components(edges: DataFrame, at_once: int = FOREST_EDGES) -> DataFrame:
+    """(node, comp): the smallest node that each node of the undirected ``edges`` (a, b) reaches; a saved table.
+
+    Tasks of about ``at_once`` edges first reduce them to forests; where one task is not all, nodes and their smallest
+    neighbours are contracted in turns (large and small stars) until all edges are stars.  Only aggregates and joins: no
+    list of a node's edges.
+    """
+    given = saved(edges.select(F.least("a", "b").alias("v"), F.greatest("a", "b").alias("u")).where("u != v").select("u", "v"))
+    tasks = -(-given.count() // at_once)
+    cur = saved(given.coalesce(max(tasks, 1)).mapInArrow(_forest, "u long, v long").distinct())
+    discard(given)
     mark = None
-    while True:
+    while tasks > 1:
         now = cur.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if now == mark or not now[0]:
             break
@@ -198,8 +240,12 @@ def components(edges: DataFrame) -> DataFrame:
         large = both.where("v > u").join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         small = large.groupBy("u").agg(F.min("v").alias("m"))
         joined = large.join(small, "u")
-        cur = saved(joined.where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v"))).where("u != v").distinct())
-    return cur.select(F.col("u").alias("node"), F.col("v").alias("comp")).unionByName(cur.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct())
+        after = saved(joined.where("v != m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(small.select("u", F.col("m").alias("v"))).where("u != v").distinct())
+        discard(cur)
+        cur = after
+    out = saved(cur.select(F.col("u").alias("node"), F.col("v").alias("comp")).unionByName(cur.select(F.col("v").alias("node"), F.col("v").alias("comp")).distinct()))
+    discard(cur)
+    return out
 
 
 def likely(i: np.ndarray, j: np.ndarray, score: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -210,81 +256,123 @@ def likely(i: np.ndarray, j: np.ndarray, score: np.ndarray) -> tuple[np.ndarray,
     return i[best], j[best], score[best]
 
 
+def tiles(shared: DataFrame, comps: DataFrame, percent: int) -> DataFrame:
+    """Round 2's rows: tile, key, setid, n, pos, comp, guest, block, inner, of tiles in which several components meet."""
+    base = 100 / percent + 1e-4 if percent < 100 else 2.0
+    rows = shared.select("key", "setid", "n", "pos").join(comps.select(F.col("node").alias("setid"), "comp"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
+    band = F.floor(F.log("n") / math.log(base)).cast("int")
+    above = F.pow(F.lit(base), F.col("band") + 1) - 1e-6  # no set of the next band is smaller
+    visits = (F.col("n") - F.col("pos")) * (100 + percent) >= percent * (F.col("n") + above) - 1e-6
+    dealt = rows.withColumn("band", band).withColumn("two", F.when(visits, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0))))
+    dealt = dealt.withColumn("up", F.explode("two")).withColumn("band", F.col("band") + F.col("up")).withColumn("guest", F.col("up") == 1).drop("two", "up")
+    mixed = saved(dealt.groupBy("key", "band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("c"), F.bool_and("guest").alias("empty")).where("lo != hi and not empty").select("key", "band", "c"))
+    large = mixed.where(F.col("c") > TILE_ROWS)
+    whole = dealt.join(mixed.where(F.col("c") <= TILE_ROWS).select("key", "band"), ["key", "band"]).withColumn("lo", F.lit(0).cast("long")).withColumn("hi", F.lit(0).cast("long")).withColumn("block", F.lit(0).cast("long"))
+    if not large.isEmpty():
+        counts = dealt.join(large.select("key", "band"), ["key", "band"]).groupBy("key", "band", "comp").agg(F.count("*").alias("k"))
+        top = counts.groupBy("key", "band").agg(F.max(F.struct("k", "comp")).alias("top"), F.sum("k").alias("c"))
+        plan = saved(top.select("key", "band", F.col("top.comp").alias("main"), F.ceil(F.col("top.k") / TILE_ROWS).alias("mains"), F.ceil((F.col("c") - F.col("top.k")) / TILE_ROWS).alias("others")))
+        cut = dealt.join(plan, ["key", "band"]).withColumn("is_main", F.col("comp") == F.col("main"))
+        cut = cut.withColumn("block", F.pmod(F.xxhash64("setid"), F.when(F.col("is_main"), F.col("mains")).otherwise(F.col("others"))) + F.when(F.col("is_main"), F.col("others")).otherwise(0))
+        cut = cut.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.when(F.col("is_main"), F.col("others")).otherwise(F.col("others") + F.col("mains")) - 1)))
+        cut = cut.withColumn("lo", F.least("block", "other")).withColumn("hi", F.greatest("block", "other"))
+        whole = whole.unionByName(cut.select(*whole.columns))
+    return whole.select(F.xxhash64("key", "band", "lo", "hi").alias("tile"), "key", "setid", "n", "pos", "comp", "guest", "block", (F.col("lo") == F.col("hi")).alias("inner"))
+
+
 def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: int, whole: bool) -> DataFrame:
     """Round 2: pairs (a, b) of different components that share a key and may be links.
 
-    Unless ``whole``, tiles with many pairs give each row's likeliest only and mark them ``partial``.
+    Unless ``whole``, tasks whose tiles have many pairs give each row's likeliest only, and the keys of those tiles as
+    rows (key, null).
     """
-    rows = shared.select("key", "setid", "n", "pos").join(comps.select(F.col("node").alias("setid"), "comp"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
-    mixed = rows.groupBy("key").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("c")).where("lo != hi").select("key", F.ceil(F.col("c") / TILE_ROWS).alias("blocks"))
-    tiles = rows.join(mixed, "key").withColumn("block", F.pmod(F.xxhash64("setid"), "blocks")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    lo, hi = F.least("block", "other"), F.greatest("block", "other")
-    full = tiles.join(sets.select("setid", "bitmap"), "setid").select(F.xxhash64("key", lo, hi).alias("tile"), "setid", "n", "pos", "comp", "block", (lo == hi).alias("inner"), "bitmap")
-
+    full = tiles(shared, comps, percent).join(sets.select("setid", "bitmap"), "setid")
     per_row = PAIRS_PER_ROW
 
     def search(cols, starts):
-        n, pos, comp, blk, s, inner = (cols[c] for c in ("n", "pos", "comp", "block", "setid", "inner"))
+        n, pos, comp, blk, s, inner, guest = (cols[c] for c in ("n", "pos", "comp", "block", "setid", "inner", "guest"))
         size = len(n)
-        group = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, size])) << 32
+        tile = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, size]))
+        group = tile << 32
         to = np.searchsorted(group + n, group + 100 * n // percent, side="right")  # first row that is too large
         turn = np.flatnonzero(np.r_[comp[1:] != comp[:-1], True])
         other = turn[np.searchsorted(turn, np.arange(size))] + 1  # next row of another component
-        width = np.maximum(to - other, 0)
-        total = np.cumsum(width)
-        bits, got, lo, partial, held = _blob(cols["bitmap"], BITS // 8), [], 0, False, 0
-        while lo < size:
-            base = total[lo - 1] if lo else 0
-            hi = max(int(np.searchsorted(total, base + PAIRS_AT_ONCE, side="right")), lo + 1)
-            i = np.repeat(np.arange(lo, hi), width[lo:hi])
-            j = other[i] + np.arange(len(i)) - (total[i] - width[i] - base)
-            lo = hi
-            ok = (comp[i] != comp[j]) & (inner[i] | (blk[i] != blk[j])) & (np.minimum(n[i] - pos[i], n[j] - pos[j]) >= needed(n[i], n[j], percent))
-            i, j = i[ok], j[ok]
-            if len(i):
-                most = overlap_bound(bits[i], bits[j], n[i], n[j])
-                ok = most >= needed(n[i], n[j], percent)
-                i, j, most = i[ok], j[ok], most[ok]
-                got.append((i, j, most / (n[i] + n[j])))
-                held += len(i)
-                if not whole and held > per_row * size:
-                    partial, got = True, [likely(*(np.concatenate(v) for v in zip(*got)))]
-                    held = len(got[0][0])
+        wide = np.minimum(widths(n[starts]), MOST_BITS)[tile]  # the smallest set's, for a tile
+        got, partial, held = [], False, 0
+        for width in np.unique(wide).tolist():
+            mine = np.flatnonzero(wide == width)
+            local = np.zeros(size, np.int64)
+            local[mine] = np.arange(len(mine))
+            words = folded(cols["bitmap"], mine, width)
+            spans = np.maximum(to[mine] - other[mine], 0)
+            total = np.cumsum(spans)
+            at_once, lo = max(BYTES_AT_ONCE // (width // 8), 1), 0
+            while lo < len(mine):
+                base = total[lo - 1] if lo else 0
+                hi = max(int(np.searchsorted(total, base + at_once, side="right")), lo + 1)
+                row = np.repeat(np.arange(lo, hi), spans[lo:hi])
+                i = mine[row]
+                j = other[i] + np.arange(len(i)) - (total[row] - spans[row] - base)
+                lo = hi
+                ok = (comp[i] != comp[j]) & (inner[i] | (blk[i] != blk[j])) & ~(guest[i] & guest[j])
+                i, j = i[ok], j[ok]
+                ok = np.minimum(n[i] - pos[i], n[j] - pos[j]) >= needed(n[i], n[j], percent)
+                i, j = i[ok], j[ok]
+                if len(i):
+                    most = overlap_bound(words[local[i]], words[local[j]], n[i], n[j])
+                    ok = most >= needed(n[i], n[j], percent)
+                    i, j, most = i[ok], j[ok], most[ok]
+                    got.append((i, j, most / (n[i] + n[j])))
+                    held += len(i)
+                    if not whole and held > per_row * size:
+                        partial, got = True, [likely(*(np.concatenate(v) for v in zip(*got)))]
+                        held = len(got[0][0])
         if not got:
             return None
         i, j, score = (np.concatenate(v) for v in zip(*got))
+        again = np.zeros(0, np.int64)
         if partial:
+            again = np.unique(cols["key"][i])
             i, j, _ = likely(i, j, score)
         x, y = np.minimum(s[i], s[j]), np.maximum(s[i], s[j])
         order = np.lexsort((y, x))
         x, y = x[order], y[order]
         new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])][: len(x)])
-        return pa.record_batch([pa.array(x[new]), pa.array(y[new]), pa.array(np.full(len(new), partial))], ["a", "b", "partial"])
+        return pa.record_batch([pa.array(np.r_[x[new], again]), pa.array(np.r_[y[new], again], mask=np.r_[np.zeros(len(new), bool), np.ones(len(again), bool)])], ["a", "b"])
 
-    found = full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long, partial boolean")
-    return found.groupBy("a", "b").agg(F.bool_or("partial").alias("partial"))
+    return full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long").distinct()
 
 
-def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75) -> DataFrame:
+def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75, rare: int = 1 << 40) -> DataFrame:
     """(node, comp) of all sets that have a link; ``sets``: setid, n, rep, bitmap, wide; ``index``: key, setid, n, pos."""
-    shared, pairs = first_pairs(index, percent)
-    kept = saved(bounded(pairs, sets, percent))
-    links = saved(linked(kept, sets, fetch, percent))
-    comps = saved(components(links))
-    tested, whole = kept, False
+    shared = saved(shared_rows(index, percent))
+    tested = saved(bounded(first_pairs(shared, percent, rare), sets, percent))
+    links = linked(tested, sets, fetch, percent)
+    comps = components(links)
+    discard(links)
+    search, whole = shared, False
     while True:
-        found = saved(mixed_pairs(shared, sets, comps, percent, whole))
-        more = saved(bounded(found.select("a", "b").join(tested, ["a", "b"], "left_anti"), sets, percent))
-        second = None if more.isEmpty() else saved(linked(more, sets, fetch, percent))
-        whole = second is None or second.isEmpty()
-        if not whole:
-            tested, links = tested.unionByName(more), links.unionByName(second)
-            comps = saved(components(links))
-        if found.where("partial").isEmpty():
+        found = saved(mixed_pairs(search, sets, comps, percent, whole))
+        more = saved(bounded(found.where("b is not null").join(tested, ["a", "b"], "left_anti"), sets, percent))
+        tested = tested.unionByName(more)
+        new = None if more.isEmpty() else linked(more, sets, fetch, percent)
+        whole = new is None or new.isEmpty()
+        if not whole:  # the new links join whole components
+            side = lambda c: comps.select(F.col("node").alias(c), F.col("comp").alias(f"{c}_comp"))
+            of = lambda c: F.coalesce(f"{c}_comp", c).alias(c)
+            joint = components(new.join(side("a"), "a", "left").join(side("b"), "b", "left").select(of("a"), of("b")))
+            ends = new.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(comps, "node", "left_anti").select("node", F.col("node").alias("comp"))
+            merged = comps.unionByName(ends).join(joint.select(F.col("node").alias("comp"), F.col("comp").alias("now")), "comp", "left").select("node", F.coalesce("now", "comp").alias("comp"))
+            comps = saved(merged)
+        again = found.where("b is null").select(F.col("a").alias("key"))
+        if again.isEmpty():
+            discard(shared)
             return comps
+        search = shared.join(again, "key", "left_semi")
 
 
 def keys_column(values: list[np.ndarray]) -> pa.Array:
-    """Sorted key arrays as binary, 8 bytes a key."""
-    sizes = np.array([8 * len(v) for v in values], np.int64)
-    return binary_array(b"".join([v.tobytes() for v in values]), sizes)
+    """Sorted key arrays as large binary, 8 bytes a key."""
+    off = np.r_[0, np.cumsum([8 * len(v) for v in values])].astype(np.int64)
+    data = pa.py_buffer(b"".join([v.tobytes() for v in values]))
+    return pa.Array.from_buffers(pa.large_binary(), len(values), [None, pa.py_buffer(off.tobytes()), data]).cast(pa.binary())

@@ -17,11 +17,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, bitmaps, keys_column, link_sets, mixed_keys, places, wide_bitmap
-from mixagg.llm.session import saved
-from mixagg.llm.textkit import Texts, binary_array, list_array, mix, over_texts, segments, shingles
+from mixagg.llm.links import HASH_BITS, bitmap_columns, keys_column, link_sets, mixed_keys, places
+from mixagg.llm.session import discard, saved
+from mixagg.llm.textkit import Texts, list_array, mix, over_texts, segments, shingles
 
 TOP_PER_TASK, TOP_SHINGLES = 2048, 1 << 15
+RARE = 64  # a pair is tested in the first round if more than a 64th of its members name it
 _MASK = np.uint64((1 << HASH_BITS) - 1)
 
 
@@ -92,11 +93,9 @@ def set_table(docs: DataFrame, width: int, percent: int, frequent) -> DataFrame:
         n = np.array([len(k) for k in keys], np.int64)
         prefix = [k[: len(k) + (-percent * len(k) // 100) + 1] if len(k) else k for k in keys]
         mixed = mixed_keys(np.concatenate(keys) if len(keys) else np.zeros(0, np.uint64))
-        at, end = places(mixed), np.cumsum(n)
-        bits = bitmaps(mixed, np.repeat(np.arange(len(keys)), n), len(keys), at)
-        wide = [wide_bitmap(k, at[e - len(k) : e]) for k, e in zip(keys, end.tolist())]
+        bitmap, wide = bitmap_columns(places(mixed), n)
         prefixes = list_array(np.concatenate(prefix).view(np.int64), np.array([len(p) for p in prefix]))
-        return pa.record_batch([part.column(0), pa.array(n), pa.array(set_ids(mixed, n)), prefixes, binary_array(bits.tobytes(), np.full(len(keys), bits.shape[1])), pa.array(wide, pa.binary())], ["doc_id", "n", "setid", "prefix", "bitmap", "wide"])
+        return pa.record_batch([part.column(0), pa.array(n), pa.array(set_ids(mixed, n)), prefixes, bitmap, wide], ["doc_id", "n", "setid", "prefix", "bitmap", "wide"])
 
     return docs.mapInArrow(over_texts(run), "doc_id long, n long, setid long, prefix array<long>, bitmap binary, wide binary")
 
@@ -127,15 +126,18 @@ def linked_documents(docs: DataFrame, width: int = 5, percent: int = 75, id_col:
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     frequent = frequent_shingles(docs, width)
     table = saved(set_table(docs, width, percent, frequent))
-    some = table.where("n > 0")
-    sets = saved(some.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("prefix").alias("prefix"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
+    places_of = saved(table.select("doc_id", "n", "setid"))
+    some = table.where("n > 0").groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("prefix").alias("prefix"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide"))
+    sets = saved(some)
+    discard(table)
     index = sets.select("setid", "n", F.posexplode("prefix").alias("pos", "key"))
-    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_sets(docs, width, frequent), percent)
+    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_sets(docs, width, frequent), percent, RARE)
     label = sets.select("setid", "rep").join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     least = label.groupBy("comp").agg(F.min("rep").alias("component_id"))
-    of_set = label.join(least, "comp").select("setid", "component_id")
-    linked = some.select("doc_id", "n", "setid").join(of_set, "setid").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
-    return linked.unionByName(table.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
+    of_set = saved(label.join(least, "comp").select("setid", "component_id"))
+    discard(sets, comps)
+    linked = places_of.where("n > 0").join(of_set, "setid").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+    return linked.unionByName(places_of.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id")))
 
 
 def keep_first(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:

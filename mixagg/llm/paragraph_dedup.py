@@ -21,11 +21,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import BITS, HASH_BITS, bitmaps, keys_column, link_sets, wide_bitmap
+from mixagg.llm.links import HASH_BITS, HOT_CLASS, bitmap_columns, keys_column, link_sets, mixed_keys, places
 from mixagg.llm.ngram_join import set_id
 from mixagg.llm.passages import LENGTH, repeated_passages
 from mixagg.llm.session import saved
-from mixagg.llm.textkit import LOWER_CODE, Texts, binary_array, list_array, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
+from mixagg.llm.textkit import LOWER_CODE, Texts, list_array, runs, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
 
 MIN_WORDS, BANDS, ROWS = 5, 12, 3  # the words of one shingle
 
@@ -91,14 +91,6 @@ class Paragraphs:
         return out
 
 
-def wide_column(p: Paragraphs, one: np.ndarray, bits: np.ndarray) -> pa.Array:
-    """``wide_bitmap`` of the chosen paragraphs; most are no wider than their rows of ``bits``, which turn in one pass."""
-    narrow = 2 * p.n[one] <= BITS
-    turned = np.packbits(np.unpackbits(bits, axis=1), axis=1, bitorder="little")
-    blobs = [turned[k].tobytes() if narrow[k] else wide_bitmap(p.set_keys(i)) for k, i in enumerate(one)]
-    return pa.array(blobs, pa.binary())
-
-
 def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool, percent: int = 75, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, line, start, stop (bytes), n_words, setid of each paragraph; with keys: n, bands and bitmap too."""
 
@@ -110,10 +102,9 @@ def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool
         names = ["doc_id", "line", "start", "stop", "n_words", "setid"]
         if with_keys:
             _, one = np.unique(p.set_ids(), return_index=True)  # copies in a batch are one set: the first
-            bits = bitmaps(p.keys, p.owner, len(p))[one]
             linkable = 100 * p.n[one] >= percent * (p.n[one] + 1)  # a different set can reach the similarity
-            columns = [c.take(pa.array(one)) for c in columns] + [pa.array(p.n[one]), list_array(p.bands(bands, rows)[one[linkable]].ravel().view(np.int64), np.where(linkable, bands, 0)), binary_array(bits.tobytes(), np.full(len(one), bits.shape[1]))]
-            columns.append(wide_column(p, one, bits))
+            bitmap, wide = bitmap_columns(places(mixed_keys(p.keys[runs(p.first[one], p.n[one])])), p.n[one])
+            columns = [c.take(pa.array(one)) for c in columns] + [pa.array(p.n[one]), list_array(p.bands(bands, rows)[one[linkable]].ravel().view(np.int64), np.where(linkable, bands, 0)), bitmap, wide]
             names += ["n", "bands", "bitmap", "wide"]
         return pa.record_batch(columns, names)
 

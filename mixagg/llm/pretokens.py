@@ -12,7 +12,7 @@ from collections.abc import Callable
 import numpy as np
 import regex
 
-from mixagg.llm.textkit import Texts, mix, prefix_hash, span_hash
+from mixagg.llm.textkit import Texts, mix, prefix_hash, runs, span_hash
 
 _OTHER, _LETTER, _NUMBER, _SPACE = range(4)
 
@@ -159,11 +159,6 @@ class PretokenCache:
         return out
 
 
-def runs(start: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """The indices start, start + 1, ... of each piece, one piece after the other."""
-    return np.repeat(start - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
-
-
 def differ(x: np.ndarray, xs: np.ndarray, xn: np.ndarray, y: np.ndarray, ys: np.ndarray, yn: np.ndarray) -> np.ndarray:
     """Which pieces of ``x`` differ from their pieces of ``y`` in size or content."""
     out = xn != yn

@@ -55,9 +55,11 @@ def roots(n, edges):
     return [find(x) for x in range(n)]
 
 
-@pytest.mark.parametrize("per_row", [links.PAIRS_PER_ROW, 0])  # 0: tiles always name likely partners first
-def test_ngram_join_is_exact(spark, monkeypatch, per_row):
+@pytest.mark.parametrize("per_row, tile, rare", [(links.PAIRS_PER_ROW, links.TILE_ROWS, ngram_join.RARE), (0, 3, 1)])  # 0: likely partners first; 3: tiles cut into blocks
+def test_ngram_join_is_exact(spark, monkeypatch, per_row, tile, rare):
     monkeypatch.setattr(links, "PAIRS_PER_ROW", per_row)
+    monkeypatch.setattr(links, "TILE_ROWS", tile)
+    monkeypatch.setattr(ngram_join, "RARE", rare)
     texts = fixture()
     sets = [shingle_set(t) for t in texts]
     edges = [(i, j) for i in range(len(texts)) for j in range(i) if sets[i] and sets[j] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])]
@@ -73,9 +75,10 @@ def test_components_of_long_chains(spark):
     r = random.Random(2)
     n = 200
     edges = [(i, i + 1) for i in range(90)] + [(r.randrange(100, n), r.randrange(100, n)) for _ in range(60)]
-    got = {x.node: x.comp for x in links.components(spark.createDataFrame(edges, "a long, b long").repartition(5)).collect()}
     want = roots(n, edges)
-    assert all(want[k] == v for k, v in got.items()) and set(got) == {x for a, b in edges if a != b for x in (a, b)}
+    for at_once in (links.FOREST_EDGES, 20):
+        got = {x.node: x.comp for x in links.components(spark.createDataFrame(edges, "a long, b long").repartition(5), at_once).collect()}
+        assert all(want[k] == v for k, v in got.items()) and set(got) == {x for a, b in edges if a != b for x in (a, b)}
 
 
 def test_likely_partners_cover_every_row():
@@ -90,12 +93,17 @@ def test_likely_partners_cover_every_row():
 
 def test_overlap_bounds_hold():
     r = np.random.default_rng(0)
-    for _ in range(50):
-        x, y = (np.unique(r.integers(0, 3000, r.integers(1, 900)).astype(np.uint64)) for _ in range(2))
-        both = len(np.intersect1d(x, y))
-        assert links.wide_bound(links.wide_bitmap(x), links.wide_bitmap(y), len(x), len(y)) >= both
-        b = [links.bitmaps(k, np.zeros(len(k), int), 1) for k in (x, y)]
-        assert links.overlap_bound(b[0], b[1], np.array([len(x)]), np.array([len(y)]))[0] >= both
+    sets = [np.unique(r.integers(0, 9000, r.integers(1, size)).astype(np.uint64)) for size in (900, 5000) for _ in range(30)]
+    n = np.array([len(x) for x in sets])
+    capped, whole = links.bitmap_columns(links.places(links.mixed_keys(np.concatenate(sets))), n)
+    full = [(w if w.is_valid else c).as_py() for c, w in zip(capped, whole)]
+    assert any(w.is_valid for w in whole) and all(8 * len(x) >= 2 * k for x, k in zip(full, n))
+    for i in range(0, 60, 2):
+        j, both = i + 1, len(np.intersect1d(sets[i], sets[i + 1]))
+        assert links.wide_bound(full[i], full[j], n[i], n[j]) >= both
+        width = min(8 * len(capped[i].as_py()), 8 * len(capped[j].as_py()))
+        w = links.folded(capped, np.array([i, j]), width)
+        assert links.overlap_bound(w[:1], w[1:], n[i : i + 1], n[j : j + 1])[0] >= both
 
 
 def brute_removed(texts, length):
