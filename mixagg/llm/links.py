@@ -35,6 +35,7 @@ LEAST_BITS, MOST_BITS = 512, 4096  # of a bitmap in a tile
 TILE_ROWS = 4096
 BYTES_AT_ONCE = 1 << 24  # of bitmaps that a task compares together
 PAIRS_PER_ROW = 4  # beyond which a tile first names likely partners only
+BACK = 6  # keys before its own that a tile's row knows
 NEIGHBOURS = 8  # in a small group, tested one by one
 FOREST_EDGES = 200_000  # of a task that joins edges to trees
 HASH_BITS = 58  # of a shingle key; the bits above hold its frequency class
@@ -107,7 +108,7 @@ def folded(column: pa.Array, rows: np.ndarray, width: int) -> np.ndarray:
     return out.view(np.uint64)
 
 
-def shared_rows(index: DataFrame, percent: int) -> DataFrame:
+def shared_rows(index: DataFrame, percent: int, ordered: bool) -> DataFrame:
     """Index rows of keys that several sets have and whose sizes and positions let some of those sets link; with each row
     its group's leader (the smallest set that its size allows) and its predecessor.
 
@@ -120,6 +121,7 @@ def shared_rows(index: DataFrame, percent: int) -> DataFrame:
 
     def lead(cols, starts):
         g, n, pos, size = cols["group"], cols["n"].astype(np.int64), cols["pos"].astype(np.int64), len(cols["group"])
+        left = n - pos if ordered else n
         many = np.diff(np.r_[starts, size])
         idx = np.repeat(np.arange(len(starts)), many)
         order = idx * (1 << 32) + n  # rising: groups, then sizes
@@ -128,7 +130,7 @@ def shared_rows(index: DataFrame, percent: int) -> DataFrame:
         keep = cols["hot"].astype(bool)
         for d in range(1, min(NEIGHBOURS, size)):  # all pairs of small groups; in large ones neighbours by size only
             i = np.flatnonzero((idx[d:] == idx[:-d]) & (percent * n[d:] <= 100 * n[:-d]) & ((many[idx[d:]] <= NEIGHBOURS) | (d == 1)))
-            ok = (np.minimum(n[i] - pos[i], n[i + d] - pos[i + d]) >= needed(n[i], n[i + d], percent)) | (many[idx[i]] > NEIGHBOURS)
+            ok = (np.minimum(left[i], left[i + d]) >= needed(n[i], n[i + d], percent)) | (many[idx[i]] > NEIGHBOURS)
             keep[i[ok]] = keep[i[ok] + d] = True
         at = np.flatnonzero(keep)
         if not len(at):
@@ -256,13 +258,13 @@ def likely(i: np.ndarray, j: np.ndarray, score: np.ndarray) -> tuple[np.ndarray,
     return i[best], j[best], score[best]
 
 
-def tiles(shared: DataFrame, comps: DataFrame, percent: int) -> DataFrame:
+def tiles(shared: DataFrame, comps: DataFrame, percent: int, ordered: bool) -> DataFrame:
     """Round 2's rows: tile, key, setid, n, pos, comp, guest, block, inner, of tiles in which several components meet."""
     base = 100 / percent + 1e-4 if percent < 100 else 2.0
     rows = shared.select("key", "setid", "n", "pos").join(comps.select(F.col("node").alias("setid"), "comp"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     band = F.floor(F.log("n") / math.log(base)).cast("int")
     above = F.pow(F.lit(base), F.col("band") + 1) - 1e-6  # no set of the next band is smaller
-    visits = (F.col("n") - F.col("pos")) * (100 + percent) >= percent * (F.col("n") + above) - 1e-6
+    visits = (F.col("n") - (F.col("pos") if ordered else 0)) * (100 + percent) >= percent * (F.col("n") + above) - 1e-6
     dealt = rows.withColumn("band", band).withColumn("two", F.when(visits, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(0))))
     dealt = dealt.withColumn("up", F.explode("two")).withColumn("band", F.col("band") + F.col("up")).withColumn("guest", F.col("up") == 1).drop("two", "up")
     mixed = saved(dealt.groupBy("key", "band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("c"), F.bool_and("guest").alias("empty")).where("lo != hi and not empty").select("key", "band", "c"))
@@ -280,18 +282,20 @@ def tiles(shared: DataFrame, comps: DataFrame, percent: int) -> DataFrame:
     return whole.select(F.xxhash64("key", "band", "lo", "hi").alias("tile"), "key", "setid", "n", "pos", "comp", "guest", "block", (F.col("lo") == F.col("hi")).alias("inner"))
 
 
-def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: int, whole: bool) -> DataFrame:
+def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: int, whole: bool, ordered: bool) -> DataFrame:
     """Round 2: pairs (a, b) of different components that share a key and may be links.
 
-    Unless ``whole``, tasks whose tiles have many pairs give each row's likeliest only, and the keys of those tiles as
+    A row knows the ``BACK`` keys before its own: pairs that share one of those are left to its tile.  Unless ``whole``, tasks whose tiles have many pairs give each row's likeliest only, and the keys of those tiles as
     rows (key, null).
     """
-    full = tiles(shared, comps, percent).join(sets.select("setid", "bitmap"), "setid")
+    earlier = [F.coalesce(F.get("keys", (F.col("pos") - k).cast("int")), F.lit(0).cast("long")).alias(f"k{k}") for k in range(1, BACK + 1)]
+    full = tiles(shared, comps, percent, ordered).join(sets.select("setid", "bitmap", "keys"), "setid").select("*", *earlier).drop("keys")
     per_row = PAIRS_PER_ROW
 
     def search(cols, starts):
         n, pos, comp, blk, s, inner, guest = (cols[c] for c in ("n", "pos", "comp", "block", "setid", "inner", "guest"))
         size = len(n)
+        left, past = n - pos if ordered else n, np.stack([cols[f"k{k}"] for k in range(1, BACK + 1)], axis=1)
         tile = np.repeat(np.arange(len(starts)), np.diff(np.r_[starts, size]))
         group = tile << 32
         to = np.searchsorted(group + n, group + 100 * n // percent, side="right")  # first row that is too large
@@ -316,12 +320,16 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
                 lo = hi
                 ok = (comp[i] != comp[j]) & (inner[i] | (blk[i] != blk[j])) & ~(guest[i] & guest[j])
                 i, j = i[ok], j[ok]
-                ok = np.minimum(n[i] - pos[i], n[j] - pos[j]) >= needed(n[i], n[j], percent)
+                ok = np.minimum(left[i], left[j]) >= needed(n[i], n[j], percent)
                 i, j = i[ok], j[ok]
                 if len(i):
                     most = overlap_bound(words[local[i]], words[local[j]], n[i], n[j])
                     ok = most >= needed(n[i], n[j], percent)
                     i, j, most = i[ok], j[ok], most[ok]
+                    again = np.zeros(len(i), bool)
+                    for k in range(BACK):
+                        again |= ((past[i, k][:, None] == past[j]) & (past[j] != 0)).any(1)
+                    i, j, most = i[~again], j[~again], most[~again]
                     got.append((i, j, most / (n[i] + n[j])))
                     held += len(i)
                     if not whole and held > per_row * size:
@@ -343,16 +351,20 @@ def mixed_pairs(shared: DataFrame, sets: DataFrame, comps: DataFrame, percent: i
     return full.repartition("tile").sortWithinPartitions("tile", "n", "setid").mapInArrow(grouped("tile", search), "a long, b long").distinct()
 
 
-def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75, rare: int = 1 << 40) -> DataFrame:
-    """(node, comp) of all sets that have a link; ``sets``: setid, n, rep, bitmap, wide; ``index``: key, setid, n, pos."""
-    shared = saved(shared_rows(index, percent))
+def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75, rare: int = 1 << 40, ordered: bool = True) -> DataFrame:
+    """(node, comp) of all sets that have a link; ``sets``: setid, n, rep, keys, bitmap, wide; ``index``: key, setid, n, pos.
+
+    ``keys`` are a set's index keys by ``pos``.  ``ordered`` says that they are its members in one global order, so that
+    sets whose first common key stands at some position have no more common members than stand from there on.
+    """
+    shared = saved(shared_rows(index, percent, ordered))
     tested = saved(bounded(first_pairs(shared, percent, rare), sets, percent))
     links = linked(tested, sets, fetch, percent)
     comps = components(links)
     discard(links)
     search, whole = shared, False
     while True:
-        found = saved(mixed_pairs(search, sets, comps, percent, whole))
+        found = saved(mixed_pairs(search, sets, comps, percent, whole, ordered))
         more = saved(bounded(found.where("b is not null").join(tested, ["a", "b"], "left_anti"), sets, percent))
         tested = tested.unionByName(more)
         new = None if more.isEmpty() else linked(more, sets, fetch, percent)

@@ -131,7 +131,7 @@ def linked_documents(docs: DataFrame, width: int = 5, percent: int = 75, id_col:
     sets = saved(some)
     discard(table)
     index = sets.select("setid", "n", F.posexplode("prefix").alias("pos", "key"))
-    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_sets(docs, width, frequent), percent, RARE)
+    comps = link_sets(index, sets.withColumnRenamed("prefix", "keys"), fetch_sets(docs, width, frequent), percent, RARE)
     label = sets.select("setid", "rep").join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     least = label.groupBy("comp").agg(F.min("rep").alias("component_id"))
     of_set = saved(label.join(least, "comp").select("setid", "component_id"))

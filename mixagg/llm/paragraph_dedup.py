@@ -144,8 +144,8 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
     sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
-    index = sets.select("setid", "n", F.explode("bands").alias("key")).withColumn("pos", F.lit(0).cast("long"))
-    comps = link_sets(index, sets.select("setid", "n", "rep", "bitmap", "wide"), fetch_paragraphs(docs, width, min_words), percent)
+    index = sets.select("setid", "n", F.posexplode("bands").alias("pos", "key"))
+    comps = link_sets(index, sets.withColumnRenamed("bands", "keys"), fetch_paragraphs(docs, width, min_words), percent, ordered=False)
     places = paragraph_table(docs, width, min_words, with_keys=False).join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     places = saved(places)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
