@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from mixagg.llm import bloom
 from mixagg.llm.session import discard, saved
-from mixagg.llm.textkit import grouped, mix
+from mixagg.llm.textkit import Frequent, grouped, mix
 
 LEAST_BITS, MOST_BITS = 512, 4096  # of a bitmap in a tile
 TILE_ROWS = 4096
@@ -108,6 +108,24 @@ def folded(column: pa.Array, rows: np.ndarray, width: int) -> np.ndarray:
     return out.view(np.uint64)
 
 
+def classed(index: DataFrame, sets: DataFrame, per_task: int = 2048, top: int = 1 << 15) -> DataFrame:
+    """``index`` with the frequency classes of its hottest keys in their high bits: those of which single tasks see most.
+
+    At most ``top`` keys are broadcast.  A class only splits work, so which keys are listed can't change the result.
+    """
+
+    def count(batches):
+        seen = Frequent(per_task)
+        for t in batches:
+            seen.add(t.column(0).flatten().to_numpy().view(np.uint64))
+        yield seen.batch()
+
+    counts = sets.select("keys").mapInArrow(count, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where(F.col("n") >= 1 << HOT_CLASS)
+    hot = counts.orderBy(F.desc("n"), "h").limit(top).select(F.col("h").alias("key"), F.floor(F.log2("n")).cast("long").alias("class"))
+    high = F.coalesce(F.shiftleft("class", HASH_BITS), F.lit(0).cast("long"))
+    return index.join(F.broadcast(hot), "key", "left").withColumn("key", F.col("key").bitwiseOR(high)).drop("class")
+
+
 def shared_rows(index: DataFrame, percent: int, ordered: bool) -> DataFrame:
     """Index rows of keys that several sets have and whose sizes and positions let some of those sets link; with each row
     its group's leader (the smallest set that its size allows) and its predecessor.
@@ -175,12 +193,10 @@ def linked(pairs: DataFrame, sets: DataFrame, fetch, percent: int) -> DataFrame:
     """The pairs that are links, by exact intersection of sorted arrays; a saved table.
 
     ``fetch(reps)`` gives (rep, setid, keys) for at least the sets of the documents in the Bloom filter ``reps``; the
-    filter's size follows the number of sets asked for, at most 64 MB, beyond which it only prunes less.
+    filter's size follows the number of sets asked for, beyond its limit it only prunes less.
     """
     asked = saved(pairs.select(F.inline(F.array(F.struct(F.col("a").alias("setid")), F.struct(F.col("b").alias("setid"))))).distinct().join(sets.select("setid", "rep"), "setid"))
-    count = asked.count()
-    bits, hashes = bloom.size_for(min(count, 50_000_000), 0.01)
-    reps = bloom.build(asked.select(F.xxhash64("rep").alias("h1"), F.xxhash64("rep", F.lit(1)).alias("h2")), bits, hashes)
+    reps = bloom.blocked(asked.select(F.xxhash64("rep").alias("h1"), F.xxhash64("rep", F.lit(1)).alias("h2")), asked.count())
     arrays = saved(fetch(reps).join(asked, ["setid", "rep"]).select("setid", "keys"))
     side = lambda c: arrays.select(F.col("setid").alias(c), F.col("keys").alias(f"k{c}"))
     joined = pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "ka", "kb")

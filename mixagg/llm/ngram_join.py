@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from mixagg.llm.links import HASH_BITS, bitmap_columns, keys_column, link_sets, mixed_keys, places
 from mixagg.llm.session import discard, saved
-from mixagg.llm.textkit import Texts, list_array, mix, over_texts, segments, shingles
+from mixagg.llm.textkit import Frequent, Texts, list_array, mix, over_texts, segments, shingles
 
 TOP_PER_TASK, TOP_SHINGLES = 2048, 1 << 15
 RARE = 64  # a pair is tested in the first round if more than a 64th of its members name it
@@ -30,23 +30,10 @@ def frequent_shingles(docs: DataFrame, width: int, top: int = TOP_SHINGLES, per_
     """Sorted hashes and frequency classes (binary logarithms) of shingles that many documents have."""
 
     def count(batches):
-        held_h, held_n = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-
-        def one(part, texts):
-            nonlocal held_h, held_n
-            h, d = shingles(texts, width)
-            h = np.sort(h >> np.uint64(6))
-            at = np.flatnonzero(np.r_[True, h[1:] != h[:-1]]) if len(h) else np.zeros(0, np.int64)
-            n = np.diff(np.r_[at, len(h)])
-            many = n > 1
-            hs, back = np.unique(np.r_[held_h, h[at][many]], return_inverse=True)
-            total = np.bincount(back, np.r_[held_n, n[many]], len(hs)).astype(np.int64)
-            keep = np.argsort(-total, kind="stable")[: 8 * per_task]
-            held_h, held_n = hs[keep], total[keep]
-
-        for _ in over_texts(one, max_bytes=1 << 22)(batches):
+        seen = Frequent(per_task)
+        for _ in over_texts(lambda part, texts: seen.add(shingles(texts, width)[0] >> np.uint64(6)), max_bytes=1 << 22)(batches):
             pass
-        yield pa.record_batch([pa.array(held_h[:per_task].view(np.int64)), pa.array(held_n[:per_task])], ["h", "n"])
+        yield seen.batch()
 
     merged = docs.select("text").mapInArrow(count, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
     got = merged.orderBy(F.desc("n"), "h").limit(top).toArrow()

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from mixagg.llm.links import HASH_BITS, HOT_CLASS, bitmap_columns, keys_column, link_sets, mixed_keys, places
+from mixagg.llm.links import HASH_BITS, bitmap_columns, classed, keys_column, link_sets, mixed_keys, places
 from mixagg.llm.ngram_join import set_id
 from mixagg.llm.passages import LENGTH, repeated_passages
 from mixagg.llm.session import saved
@@ -144,8 +144,9 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
     sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
-    index = sets.select("setid", "n", F.posexplode("bands").alias("pos", "key"))
-    comps = link_sets(index, sets.withColumnRenamed("bands", "keys"), fetch_paragraphs(docs, width, min_words), percent, ordered=False)
+    sets = sets.withColumnRenamed("bands", "keys")
+    index = classed(sets.select("setid", "n", F.posexplode("keys").alias("pos", "key")), sets)
+    comps = link_sets(index, sets, fetch_paragraphs(docs, width, min_words), percent, ordered=False)
     places = paragraph_table(docs, width, min_words, with_keys=False).join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     places = saved(places)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
@@ -182,7 +183,8 @@ def remove_paragraphs(docs: DataFrame, id_col: str = "doc_id", text: str = "text
     gone = duplicate_paragraphs(docs, id_col=id_col, text=text, **options).where("removed")
     span = F.when(F.col("unit") == "passage", F.struct("start", "stop"))
     lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set(F.when(F.col("unit") == "line", F.col("line"))).alias("__lines"), F.collect_list(span["start"]).alias("__starts"), F.collect_list(span["stop"]).alias("__stops"))
-    joined = docs.join(lists, docs[id_col] == lists["__id"], "left").select(*docs.columns, "__lines", "__starts", "__stops")
+    own = docs.toDF(*(f"c{k}" for k in range(len(docs.columns))))  # whatever the columns are called
+    joined = own.join(lists, F.col(f"c{docs.columns.index(id_col)}") == F.col("__id"), "left").select(*own.columns, "__lines", "__starts", "__stops")
     place, width = docs.columns.index(text), len(docs.columns)
 
     def cut(batches):

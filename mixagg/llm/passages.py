@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from mixagg.llm import bloom
-from mixagg.llm.session import saved
+from mixagg.llm.session import discard, saved
 from mixagg.llm.suffix_dedup import _slide
 from mixagg.llm.textkit import LOWER_CODE, Texts, binary_array, grouped, mix, over_texts, prefix_hash, span_hash
 
@@ -136,7 +136,7 @@ def repeated_passages(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """Stretches of ``docs`` (doc_id, text) that an earlier document has, and the stretches that stay (kept_doc_id is their own)."""
     docs = docs.where(F.col("doc_id").isNotNull())
     anchors = saved(shared_anchors(docs, length))
-    bits, hashes = bloom.size_for(min(anchors.count(), 50_000_000), 0.01)
-    rows = anchored_windows(docs, length, bloom.build(anchors, bits, hashes))
+    rows = anchored_windows(docs, length, bloom.blocked(anchors, anchors.count()))
+    discard(anchors)
     found = saved(rows.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(grouped("anchor", compare), PLACE))
     return found.repartition("doc_id").sortWithinPartitions("doc_id").mapInArrow(grouped("doc_id", lambda cols, starts: stretches(cols)), PLACE)

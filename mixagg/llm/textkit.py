@@ -207,6 +207,26 @@ def over_texts(fn: Callable[[pa.RecordBatch, Texts], pa.RecordBatch | None], tex
     return run
 
 
+class Frequent:
+    """The values that a task has seen most often, from a bounded number of counters."""
+
+    def __init__(self, limit: int) -> None:
+        self.limit, self.values, self.counts = limit, np.zeros(0, np.uint64), np.zeros(0, np.int64)
+
+    def add(self, values: np.ndarray) -> None:
+        values = np.sort(values)
+        at = np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else np.zeros(0, np.int64)
+        n = np.diff(np.r_[at, len(values)])
+        many = n > 1
+        kept, back = np.unique(np.r_[self.values, values[at][many]], return_inverse=True)
+        total = np.bincount(back, np.r_[self.counts, n[many]], len(kept)).astype(np.int64)
+        best = np.argsort(-total, kind="stable")[: 8 * self.limit]
+        self.values, self.counts = kept[best], total[best]
+
+    def batch(self) -> pa.RecordBatch:
+        return pa.record_batch([pa.array(self.values[: self.limit].view(np.int64)), pa.array(self.counts[: self.limit])], ["h", "n"])
+
+
 def segments(values: np.ndarray, doc: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     """[start, end) of each document's run in arrays that are ordered by document."""
     edges = np.searchsorted(doc, np.arange(n + 1))
