@@ -12,7 +12,7 @@ from collections.abc import Callable
 import numpy as np
 import regex
 
-from mixagg.llm.textkit import Texts, mix, prefix_hash, runs, span_hash
+from mixagg.llm.textkit import Texts, differ, mix, prefix_hash, runs, span_hash
 
 _OTHER, _LETTER, _NUMBER, _SPACE = range(4)
 
@@ -157,14 +157,3 @@ class PretokenCache:
             like = lead[back]
             missing = missing[differ(tokens.cp, tokens.start[missing], size[missing], tokens.cp, tokens.start[like], size[like])]
         return out
-
-
-def differ(x: np.ndarray, xs: np.ndarray, xn: np.ndarray, y: np.ndarray, ys: np.ndarray, yn: np.ndarray) -> np.ndarray:
-    """Which pieces of ``x`` differ from their pieces of ``y`` in size or content."""
-    out = xn != yn
-    same = np.flatnonzero(~out & (xn > 0))
-    n = xn[same]
-    apart = x[runs(xs[same], n)] != y[runs(ys[same], n)]
-    if apart.any():
-        out[same[np.repeat(np.arange(len(same)), n)[apart]]] = True
-    return np.flatnonzero(out)

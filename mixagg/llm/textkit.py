@@ -245,6 +245,17 @@ def runs(start: np.ndarray, size: np.ndarray) -> np.ndarray:
     return np.repeat(start - np.cumsum(size) + size, size) + np.arange(int(size.sum()))
 
 
+def differ(x: np.ndarray, xs: np.ndarray, xn: np.ndarray, y: np.ndarray, ys: np.ndarray, yn: np.ndarray) -> np.ndarray:
+    """Which pieces of ``x`` differ from their pieces of ``y`` in size or content."""
+    out = xn != yn
+    same = np.flatnonzero(~out & (xn > 0))
+    n = xn[same]
+    apart = x[runs(xs[same], n)] != y[runs(ys[same], n)]
+    if apart.any():
+        out[same[np.repeat(np.arange(len(same)), n)[apart]]] = True
+    return np.flatnonzero(out)
+
+
 def list_array(values: np.ndarray, sizes: np.ndarray) -> pa.ListArray:
     off = np.zeros(len(sizes) + 1, np.int32)
     np.cumsum(sizes, out=off[1:])

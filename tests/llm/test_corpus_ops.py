@@ -123,14 +123,23 @@ def brute_removed(texts, length):
     return out
 
 
-@pytest.mark.parametrize("length", [50, 30])
-def test_suffix_dedup_is_exact(spark, length):
-    texts = fixture(4, 30) + ["ab" * 200, "ba" * 150 + "c", "z" * 49, "z" * 50, "z" * 51]
+@pytest.mark.parametrize("length, hot", [(50, suffix_dedup.HOT), (50, 2), (30, suffix_dedup.HOT)])  # 2: most shared anchors are dealt out twice
+def test_suffix_dedup_is_exact(spark, monkeypatch, length, hot):
+    monkeypatch.setattr(suffix_dedup, "HOT", hot)
+    texts = fixture(4, 30) + ["ab" * 200, "ba" * 150 + "c", "z" * 49, "z" * 50, "z" * 51, "-" * 3000, "x" + "-" * 2500, "a b c d e " * 80]
     got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.dedup_substrings(frame(spark, texts), length, buckets=2).collect()}
     assert got == brute_removed(texts, length)
     assert suffix_dedup.dedup_substrings(frame(spark, texts).limit(0), length, buckets=1).count() == 0
 
 
+def test_suffix_dedup_reads_long_texts_in_pieces(spark):
+    r = np.random.default_rng(5)
+    long = r.choice(list("abcd"), suffix_dedup.PIECE + 300_000)
+    texts = ["".join(long), "".join(long[suffix_dedup.PIECE - 500 : suffix_dedup.PIECE + 700]), "".join(long[100:300]), "-" * 1_200_000, "-" * 400_000]
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.dedup_substrings(frame(spark, texts)).collect()}
+    assert got == brute_removed(texts, 50)
+
+
 def test_difference_cover():
     for v in (8, 16, 32):
         d = suffix_dedup.difference_cover(v)
