@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from mixagg.llm.links import HASH_BITS, bitmap_columns, classed, keys_column, link_sets, mixed_keys, places
 from mixagg.llm.ngram_join import set_id
 from mixagg.llm.passages import LENGTH, repeated_passages
-from mixagg.llm.session import saved
+from mixagg.llm.session import discard, saved
 from mixagg.llm.textkit import LOWER_CODE, Texts, list_array, runs, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
 
 MIN_WORDS, BANDS, ROWS = 5, 12, 3  # the words of one shingle
@@ -144,15 +144,17 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
     sets = saved(found.groupBy("setid", "n").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("bitmap").alias("bitmap"), F.first("wide").alias("wide")))
-    sets = sets.withColumnRenamed("bands", "keys")
-    index = classed(sets.select("setid", "n", F.posexplode("keys").alias("pos", "key")), sets)
-    comps = link_sets(index, sets, fetch_paragraphs(docs, width, min_words), percent, ordered=False)
+    keyed = sets.withColumnRenamed("bands", "keys")
+    index = classed(sets.select("setid", "n", F.posexplode("bands").alias("pos", "key")), keyed)
+    comps = link_sets(index, keyed, fetch_paragraphs(docs, width, min_words), percent, ordered=False)
     places = paragraph_table(docs, width, min_words, with_keys=False).join(comps.withColumnRenamed("node", "setid"), "setid", "left").withColumn("comp", F.coalesce("comp", "setid"))
     places = saved(places)
+    discard(sets, comps)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
     lines = saved(places.join(first, "comp").select(
         "doc_id", "line", "start", "stop", "n_words", F.col("first.doc_id").alias("kept_doc_id"), F.col("first.line").alias("kept_line"), F.col("size").alias("component_size"),
         ((F.col("doc_id") != F.col("first.doc_id")) | (F.col("line") != F.col("first.line"))).alias("removed"), F.lit("line").alias("unit")))
+    discard(places)
     passages = repeated_passages(docs, passage_words).select(
         "doc_id", "line", "start", "stop", (F.col("last") - F.col("first") + passage_words).alias("n_words"), "kept_doc_id", "kept_line", F.col("places").alias("component_size"),
         (F.col("doc_id") != F.col("kept_doc_id")).alias("removed"), F.lit("passage").alias("unit"))

@@ -121,16 +121,14 @@ def in_pieces(fn, length: int):
 
 
 def shared_anchors(docs: DataFrame, length: int) -> DataFrame:
-    """h1, h2 (equal), docs: the anchors that several documents have, and about how many do."""
+    """h1, h2 (equal), docs: the anchors that several documents have, and about how many do (repeats within one count)."""
 
     def emit(part, texts, base):
         pos, h, _, _, _ = anchors(texts, length)
         if not len(pos):
             return None
         doc = texts.doc_of(pos)
-        order = np.lexsort((h, doc))
-        h, doc = h[order], doc[order]
-        new = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])])
+        new = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])])  # a run of one byte is one row
         return pa.record_batch([pa.array(h[new].view(np.int64)), part.column(0).take(pa.array(doc[new]))], ["h", "doc_id"])
 
     def merge(batches):
