@@ -4,14 +4,17 @@ Passages of ``passage_words`` words that documents share inside longer lines or
 exactly and go too (see ``passages``).  A passage's first place may lie in a line that goes as a near copy of another:
 then the near copy is what stays.
 
-Paragraphs are the lines of a text with at least ``min_words`` words: by default all that hold one full shingle.  Band
-keys are hashes of ``rows`` MinHash values; 12 bands of 3 rows find a pair of similarity 0.75 with probability 0.9986.
+Paragraphs are the lines of a text with at least ``min_words`` words, and runs of neighbouring shorter lines (wrapped text)
+that together have as many.  By default that is 20: single sentences and headings are shared by documents that are no
+copies of each other, and stay.  Band keys are hashes of ``rows`` MinHash values; 12 bands of 3 rows find a pair of
+similarity 0.75 with probability 0.9986.
 Equal sets are one set whatever their bands, and sets too small to be similar to any other have none.  Candidates are
 verified exactly (see ``links``); of each component the paragraph with the smallest (doc_id, position) stays.
 
-Defined cases: a null or empty text has no paragraphs; lines with fewer words than a shingle are no paragraphs; repeated paragraphs of
-one document count like others; extra columns are ignored (``remove_paragraphs`` passes them on); an empty table gives
-no rows.  Ids are taken as unique; rows with the same id share their paragraphs' fate by position.
+Defined cases: a null or empty text has no paragraphs; runs of lines with fewer words than ``min_words`` are none; repeated
+paragraphs of one document count like others; very long texts and lines are read whole; extra columns are ignored
+(``remove_paragraphs`` passes them on, whatever they are called); an empty table gives no rows.  Ids are taken as unique;
+rows with the same id share their paragraphs' fate by position.
 """
 
 from __future__ import annotations
@@ -27,24 +30,33 @@ from mixagg.llm.passages import LENGTH, repeated_passages
 from mixagg.llm.session import discard, saved
 from mixagg.llm.textkit import LOWER_CODE, Texts, list_array, runs, mix, over_texts, prefix_hash, span_hash, spans_of, window_hash
 
-MIN_WORDS, BANDS, ROWS = 5, 12, 3  # the words of one shingle
+MIN_WORDS, BANDS, ROWS = 20, 12, 3
 
 
 class Paragraphs:
-    """The long lines of a batch: document, line number, byte span, words and distinct sorted shingle keys."""
+    """The paragraphs of a batch: document, first line's number, lines, byte span, words and distinct sorted shingle keys."""
 
     def __init__(self, texts: Texts, width: int, min_words: int) -> None:
         newline = texts.data == 10
         s, e = spans_of(~newline, texts.off)
         ws, we = texts.words()
-        line = np.searchsorted(s, ws, side="right") - 1
-        words = np.bincount(line, minlength=len(s)) if len(s) else np.zeros(0, np.int64)
-        keep = words >= min_words
+        in_line = np.searchsorted(s, ws, side="right") - 1
+        words = np.bincount(in_line, minlength=len(s)) if len(s) else np.zeros(0, np.int64)
         count = np.zeros(len(texts.data) + 1, np.int64)
         np.cumsum(newline, out=count[1:])
-        self.start, self.end, self.words = s[keep], e[keep], words[keep]
-        self.doc = texts.doc_of(self.start)
-        self.line = count[self.start] - count[texts.off[self.doc]]
+        doc = texts.doc_of(s)
+        number = count[s] - count[texts.off[doc]]
+        short = (words > 0) & (words < min_words)
+        joined = np.zeros(len(s), bool)  # to the line before
+        joined[1:] = short[1:] & short[:-1] & (doc[1:] == doc[:-1]) & (number[1:] == number[:-1] + 1)
+        first = np.flatnonzero(~joined)
+        last = np.r_[first[1:], len(s)][: len(first)] - 1
+        many = np.add.reduceat(words, first) if len(first) else words
+        keep = many >= min_words
+        line = (np.cumsum(~joined) - 1)[in_line]  # of each word: its paragraph
+        self.start, self.end, self.words = s[first[keep]], e[last[keep]], many[keep]
+        self.doc, self.line = doc[first[keep]], number[first[keep]]
+        self.lines = number[last[keep]] - self.line + 1
         self.start_in_doc = self.start - texts.off[self.doc]
         self.end_in_doc = self.end - texts.off[self.doc]
         if len(self.start):
@@ -92,14 +104,14 @@ class Paragraphs:
 
 
 def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool, percent: int = 75, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """doc_id, line, start, stop (bytes), n_words, setid of each paragraph; with keys: n, bands and bitmap too."""
+    """doc_id, line, lines, start, stop (bytes), n_words, setid of each paragraph; with keys: n, bands and bitmap too."""
 
     def run(part, texts):
         p = Paragraphs(texts, width, min_words)
         if not len(p):
             return None
-        columns = [part.column(0).take(pa.array(p.doc)), pa.array(p.line), pa.array(p.start_in_doc), pa.array(p.end_in_doc), pa.array(p.words), pa.array(p.set_ids())]
-        names = ["doc_id", "line", "start", "stop", "n_words", "setid"]
+        columns = [part.column(0).take(pa.array(p.doc)), pa.array(p.line), pa.array(p.lines), pa.array(p.start_in_doc), pa.array(p.end_in_doc), pa.array(p.words), pa.array(p.set_ids())]
+        names = ["doc_id", "line", "lines", "start", "stop", "n_words", "setid"]
         if with_keys:
             _, one = np.unique(p.set_ids(), return_index=True)  # copies in a batch are one set: the first
             linkable = 100 * p.n[one] >= percent * (p.n[one] + 1)  # a different set can reach the similarity
@@ -108,7 +120,7 @@ def paragraph_table(docs: DataFrame, width: int, min_words: int, with_keys: bool
             names += ["n", "bands", "bitmap", "wide"]
         return pa.record_batch(columns, names)
 
-    schema = "doc_id long, line long, start long, stop long, n_words long, setid long" + (", n long, bands array<long>, bitmap binary, wide binary" if with_keys else "")
+    schema = "doc_id long, line long, lines long, start long, stop long, n_words long, setid long" + (", n long, bands array<long>, bitmap binary, wide binary" if with_keys else "")
     return docs.mapInArrow(over_texts(run), schema)
 
 
@@ -138,8 +150,8 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     """Each paragraph of a component of several: its place, the place of the one that stays, and ``removed``.
 
     Rows of the unit ``passage`` are stretches of at least ``passage_words`` words, inside a line or over several, that
-    an earlier document has (``removed``) or later ones have, unless a line's row says so already; ``line`` is where they
-    begin, ``component_size`` how many documents have their first ``passage_words`` words.
+    an earlier document has (``removed``) or later ones have, unless a paragraph's row says so already; ``line`` is where
+    they begin, ``component_size`` how many documents have their first ``passage_words`` words.
     """
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text).alias("text"))
     found = paragraph_table(docs, width, min_words, with_keys=True, percent=percent)
@@ -152,13 +164,13 @@ def duplicate_paragraphs(docs: DataFrame, width: int = 5, percent: int = 75, min
     discard(sets, comps)
     first = places.groupBy("comp").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("size")).where("size > 1")
     lines = saved(places.join(first, "comp").select(
-        "doc_id", "line", "start", "stop", "n_words", F.col("first.doc_id").alias("kept_doc_id"), F.col("first.line").alias("kept_line"), F.col("size").alias("component_size"),
+        "doc_id", "line", "lines", "start", "stop", "n_words", F.col("first.doc_id").alias("kept_doc_id"), F.col("first.line").alias("kept_line"), F.col("size").alias("component_size"),
         ((F.col("doc_id") != F.col("first.doc_id")) | (F.col("line") != F.col("first.line"))).alias("removed"), F.lit("line").alias("unit")))
     discard(places)
     passages = repeated_passages(docs, passage_words).select(
-        "doc_id", "line", "start", "stop", (F.col("last") - F.col("first") + passage_words).alias("n_words"), "kept_doc_id", "kept_line", F.col("places").alias("component_size"),
+        "doc_id", "line", F.lit(None).cast("long").alias("lines"), "start", "stop", (F.col("last") - F.col("first") + passage_words).alias("n_words"), "kept_doc_id", "kept_line", F.col("places").alias("component_size"),
         (F.col("doc_id") != F.col("kept_doc_id")).alias("removed"), F.lit("passage").alias("unit"))
-    said = lines.select("doc_id", "line", F.col("start").alias("s"), F.col("stop").alias("e"), F.col("removed").alias("r"))
+    said = lines.select("doc_id", F.explode(F.sequence("line", F.col("line") + F.col("lines") - 1)).alias("line"), F.col("start").alias("s"), F.col("stop").alias("e"), F.col("removed").alias("r"))
     within = (F.col("start") >= F.col("s")) & (F.col("stop") <= F.col("e")) & (F.col("r") | ~F.col("removed"))
     more = passages.join(said, ["doc_id", "line"], "left").where(~F.coalesce(within, F.lit(False))).select(*lines.columns)
     return lines.unionByName(more)
@@ -184,7 +196,7 @@ def remove_paragraphs(docs: DataFrame, id_col: str = "doc_id", text: str = "text
     """``docs`` without its removed paragraphs and passages; all else stays; a text left blank leaves no row."""
     gone = duplicate_paragraphs(docs, id_col=id_col, text=text, **options).where("removed")
     span = F.when(F.col("unit") == "passage", F.struct("start", "stop"))
-    lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_set(F.when(F.col("unit") == "line", F.col("line"))).alias("__lines"), F.collect_list(span["start"]).alias("__starts"), F.collect_list(span["stop"]).alias("__stops"))
+    lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.flatten(F.collect_list(F.when(F.col("unit") == "line", F.sequence("line", F.col("line") + F.col("lines") - 1)))).alias("__lines"), F.collect_list(span["start"]).alias("__starts"), F.collect_list(span["stop"]).alias("__stops"))
     own = docs.toDF(*(f"c{k}" for k in range(len(docs.columns))))  # whatever the columns are called
     joined = own.join(lists, F.col(f"c{docs.columns.index(id_col)}") == F.col("__id"), "left").select(*own.columns, "__lines", "__starts", "__stops")
     place, width = docs.columns.index(text), len(docs.columns)

@@ -169,14 +169,52 @@ def test_short_lines_are_paragraphs(spark):
     near = wrapped[5].split() + ["tail"]  # differs in one shingle of several
     texts = ["\n".join(wrapped + [five]), line(30) + "\n" + "\n".join(wrapped), five.upper() + "\n" + seven + "\na b c d", "a b c d\n" + seven + " " + "x\n" + seven, " ".join(near)]
     df = frame(spark, texts)
-    out = {(x.doc_id, x.line): (x.kept_doc_id, x.kept_line, x.removed) for x in paragraph_dedup.duplicate_paragraphs(df).collect()}
+    out = {(x.doc_id, x.line): (x.kept_doc_id, x.kept_line, x.removed) for x in paragraph_dedup.duplicate_paragraphs(df, min_words=5).collect()}
     want = {(0, i): (0, i, False) for i in range(7)} | {(1, i + 1): (0, i, True) for i in range(6)}
     want |= {(2, 0): (0, 6, True), (4, 0): (0, 5, True), (2, 1): (2, 1, False), (3, 1): (2, 1, True), (3, 2): (2, 1, True)}
     assert out == want
-    left = {x.doc_id: x.text for x in paragraph_dedup.remove_paragraphs(df).collect()}
+    left = {x.doc_id: x.text for x in paragraph_dedup.remove_paragraphs(df, min_words=5).collect()}
     assert left == {0: texts[0], 1: texts[1].split("\n")[0], 2: seven + "\na b c d", 3: "a b c d"}
 
 
+def test_wrapped_lines_are_one_paragraph(spark):
+    r = random.Random(17)
+    line = lambda n: " ".join("t%d" % r.randrange(5000) for _ in range(n))
+    wrapped, heading = [line(r.randrange(6, 16)) for _ in range(4)], line(9)
+    words = " ".join(wrapped).split()
+    texts = [heading + "\n\n" + "\n".join(wrapped), line(30) + "\n" + "\n".join(" ".join(words[i : i + 7]) for i in range(0, len(words), 7)) + "\n\nend", heading + "\n" + line(50), " ".join(words)]
+    df = frame(spark, texts)
+    out = {(x.doc_id, x.line, x.lines): (x.kept_doc_id, x.kept_line, x.removed) for x in paragraph_dedup.duplicate_paragraphs(df).collect()}
+    assert out == {(0, 2, 4): (0, 2, False), (1, 1, -(-len(words) // 7)): (0, 2, True), (3, 0, 1): (0, 2, True)}
+    left = {x.doc_id: x.text for x in paragraph_dedup.remove_paragraphs(df).collect()}
+    assert left == {0: texts[0], 1: texts[1].split("\n")[0] + "\n\nend", 2: texts[2]}
+
+
+def test_paragraphs_meet_brute_force(spark):
+    """Paragraphs by plain Python, linked by exact Jaccard of all pairs: every link is found, and none too many."""
+    texts = [t for t in fixture(41, 40)]
+    paragraphs = []
+    for i, t in enumerate(texts):
+        run = []
+        for k, x in enumerate([*(t or "").split("\n"), ""]):
+            n = len(re.findall(r"[^\x20\x09-\x0D]+", x))
+            if 0 < n < 20:
+                run.append((k, x))
+                continue
+            if run and len(" ".join(y for _, y in run).split()) >= 20:
+                paragraphs.append((i, run[0][0], "\n".join(y for _, y in run)))
+            run = []
+            if n >= 20:
+                paragraphs.append((i, k, x))
+    sets = [shingle_set(x) for _, _, x in paragraphs]
+    edges = [(i, j) for i in range(len(sets)) for j in range(i) if 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j])]
+    root = roots(len(sets), edges)
+    size = {c: root.count(c) for c in root}
+    want = {paragraphs[i][:2]: (*paragraphs[c][:2], i != c) for i, c in enumerate(root) if size[c] > 1}
+    got = {(x.doc_id, x.line): (x.kept_doc_id, x.kept_line, x.removed) for x in paragraph_dedup.duplicate_paragraphs(frame(spark, texts)).where("unit = 'line'").collect()}
+    assert len(want) > 30 and got == want
+
+
 def test_passages_inside_and_over_lines_are_found(spark):
     r = random.Random(26)
     words = lambda n: ["p%d" % r.randrange(9000) for _ in range(n)]
