@@ -2,12 +2,14 @@
 
 ``eliminate`` takes the innermost variable first.  A sum folds the factors around its variable into one new factor
 (join, semi-joins with what else meets the bag, one aggregation); a product aggregate is pushed into each factor by
-itself.  All steps are lazy DataFrames, so Catalyst sees one plan.
+itself.  A factor that lies wholly in the bag joins it at once, instead of filtering now and joining later, and one that
+meets the bag only where an incident factor already has all those variables waits: neither is read twice.  What still
+filters now and joins later is written once and read back.  All else is lazy, so Catalyst sees one plan.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -15,6 +17,7 @@ from pyspark.sql import functions as F
 from mixagg.model import PRODUCT, Factor, FactorQuery
 from mixagg.operators import multijoin
 from mixagg.plans import ordering
+from mixagg.sources.steps import kept
 
 
 @dataclass
@@ -31,12 +34,18 @@ class Meter:
         self.steps.append(row)
 
 
-def _meeting(joined: DataFrame, others: list[Factor], bag: set[str]) -> DataFrame:
-    """Rows that every other live factor allows on the variables it shares with the bag."""
+def _meeting(joined: DataFrame, others: list[Factor], around: list[Factor]) -> tuple[DataFrame, list[Factor]]:
+    """Rows that every other live factor allows on variables that no single factor of the bag covers; the others, of which
+    those that were used are kept steps now."""
+    bag = {v for f in around for v in f.vars}
+    out = []
     for f in others:
-        if shared := [v for v in f.vars if v in bag]:
+        shared = [v for v in f.vars if v in bag]
+        if len(shared) > 1 and not any(set(shared) <= set(g.vars) for g in around):
+            f = Factor(f.vars, kept(f.df))
             joined = joined.join(f.df.select(*shared), shared, "left_semi")
-    return joined
+        out.append(f)
+    return joined, out
 
 
 def semiring_step(q: FactorQuery, live: list[Factor], k: str, agg: str, indicators: bool, how: str, meter: Meter | None) -> list[Factor]:
@@ -44,9 +53,12 @@ def semiring_step(q: FactorQuery, live: list[Factor], k: str, agg: str, indicato
     rest = [f for f in live if k not in f.vars]
     bag = {v for f in around for v in f.vars}
     keep = tuple(v for v in q.order if v in bag and v != k)
+    if indicators:  # a sum distributes over factors without its variable
+        around += [f for f in rest if f.vars and set(f.vars) <= bag]
+        rest = [f for f in rest if not (f.vars and set(f.vars) <= bag)]
     joined = multijoin.join(around, how)
     if indicators:
-        joined = _meeting(joined, rest, bag)
+        joined, rest = _meeting(joined, rest, around)
     value = q.algebra.fold([F.col(f"v{i}") for i in range(len(around))])
     rows = joined.select(*keep, value.alias("val"))
     out = rows.groupBy(*keep).agg(q.algebra.plus[agg](F.col("val")).alias("val")) if keep else rows.agg(q.algebra.plus[agg](F.col("val")).alias("val")).where(F.col("val").isNotNull())
@@ -106,7 +118,7 @@ class Result:
         if not q.free:
             return scalar(q, self.factors)
         joined = multijoin.join(self.factors)
-        for b in self.bags:
+        for b in self.bags if len(self.factors) > 2 else ():  # a join of two has no dead ends to begin with
             if b.columns != list(q.free):
                 joined = joined.join(b, b.columns, "left_semi")
         return joined.select(*q.free, value.alias("val")).where(q.algebra.nonzero(F.col("val")))
@@ -147,13 +159,24 @@ def eliminate(q: FactorQuery, order: tuple[str, ...] | str | None = None, indica
         order = q.order
     elif check and not ordering.theory(q, idempotent_inputs).is_safe(order):
         raise ValueError(f"{order} may give another function")
-    q = q.reordered(tuple(order))
+    q = checked(q.reordered(tuple(order)))
     live = list(q.factors)
     for k, agg in reversed(q.bound):
         live = product_step(q, live, k, meter) if agg == PRODUCT else semiring_step(q, live, k, agg, indicators, how, meter)
+    if output == "filtered" and len(live) > 2:
+        live = [Factor(f.vars, kept(f.df)) if f.vars else f for f in live]
     return Result(q, live, filter_bags(q, live) if output == "filtered" and q.free else [])
 
 
+def checked(q: FactorQuery) -> FactorQuery:
+    """The query with factors that fail, as their rows are read, on values that a maximum can't take: negative or NaN."""
+    if not (q.algebra.non_negative and any(a == "max" for _, a in q.bound)):
+        return q
+    v = F.col("val")
+    bad = (v < 0) | F.isnan(v.cast("double"))
+    return replace(q, factors=tuple(Factor(f.vars, f.df.withColumn("val", F.when(bad, F.raise_error(F.lit("max needs non-negative values")).cast(q.algebra.dtype)).otherwise(v))) for f in q.factors))
+
+
 def answer(q: FactorQuery, **options) -> DataFrame:
     return eliminate(q, **options).listing()
 
@@ -209,6 +232,13 @@ def calibrate(q: FactorQuery, agg: str) -> list[Factor]:
     return [gathered(i, None) for i in range(len(q.factors))]
 
 
+def lift_variance(df: DataFrame, keys: list[str], value: str) -> DataFrame:
+    """A population variance as three sums that combine, finished by one expression."""
+    v = F.col(value)
+    parts = df.groupBy(*keys).agg(F.sum(v).alias("total"), F.sum(v * v).alias("squares"), F.count(v).alias("n"))
+    return parts.withColumn("variance", F.col("squares") / F.col("n") - F.pow(F.col("total") / F.col("n"), 2))
+
+
 def lift_average(df: DataFrame, keys: list[str], value: str) -> DataFrame:
     """An average as a pair of sums that combine, finished by one division."""
     parts = df.groupBy(*keys).agg(F.sum(value).alias("total"), F.count(value).alias("n"))

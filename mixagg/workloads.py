@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from mixagg.functions.algebra import BOOL, COUNT, SIGNED_EXACT
 from mixagg.model import PRODUCT, Domain, Factor, FactorQuery, compose
 from mixagg.operators import baselines, boxes, chain, cnf, evaluate, fourier
+from mixagg.sources.steps import kept
 from mixagg.sources.tables import table
 
 QUERIES: dict = {}
@@ -138,7 +139,7 @@ def triangle_spo_without_indicators(spark, d):
 sp AS (SELECT DISTINCT s, p FROM j), pc AS (SELECT DISTINCT p, c FROM j), sc AS (SELECT DISTINCT s, c FROM j)
 SELECT COUNT(*)::BIGINT AS val FROM sp JOIN pc USING (p) JOIN sc ON sc.s = sp.s AND sc.c = pc.c""")
 def triangle_spc(spark, d):
-    j = line(spark, d).join(table(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey"))
+    j = kept(line(spark, d).join(table(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).select("l_suppkey", "l_partkey", "o_custkey"))  # three factors read it
     q = FactorQuery((), (("s", "sum"), ("p", "sum"), ("c", "sum")), (
         pairs(j, s="l_suppkey", p="l_partkey"), pairs(j, p="l_partkey", c="o_custkey"), pairs(j, s="l_suppkey", c="o_custkey")), COUNT)
     return evaluate.answer(q)
@@ -149,7 +150,8 @@ _NATIONS = "WITH e AS (SELECT DISTINCT s_nationkey a, c_nationkey b FROM lineite
 
 def _nation_pairs(spark, d):
     j = line(spark, d).join(table(spark, d, "supplier"), F.col("l_suppkey") == F.col("s_suppkey")).join(table(spark, d, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).join(table(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey"))
-    return lambda a, b: pairs(j, **{a: "s_nationkey", b: "c_nationkey"})
+    e = kept(pairs(j, a="s_nationkey", b="c_nationkey").df)  # one relation, at most 625 rows, in several places
+    return lambda a, b: Factor((a, b), e.select(F.col("a").alias(a), F.col("b").alias(b), "val"))
 
 
 @workload(_NATIONS + "SELECT COUNT(*)::BIGINT AS val FROM e w JOIN e x ON w.b = x.a JOIN e y ON x.b = y.a JOIN e z ON y.b = z.a AND z.b = w.a")
