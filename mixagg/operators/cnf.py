@@ -10,8 +10,10 @@ from fractions import Fraction
 from itertools import product
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
+from mixagg.functions.algebra import REAL
+from mixagg.model import Factor, FactorQuery
 from mixagg.plans.widths import Edge, nested_order
 
 Clause = frozenset
@@ -84,6 +86,39 @@ def truth_table(clauses: list[tuple[Clause, Fraction]], variables: list[int]) ->
     return total
 
 
+def as_query(spark: SparkSession, clauses: list[tuple[Clause, float]]) -> FactorQuery:
+    """The weighted count as a query for the engine, whatever the formula's shape: a factor a clause, all variables summed.
+
+    A clause of k variables lists 2**k rows, so this is for short clauses; the engine's order bounds the rest.
+    """
+    factors = []
+    for c, weight in clauses:
+        names = sorted({abs(x) for x in c})
+        rows = [(*bits, 1.0 if any((bits[names.index(abs(x))] == 1) == (x > 0) for x in c) else float(weight)) for bits in product((0, 1), repeat=len(names))]
+        fields = ", ".join([*(f"x{v} int" for v in names), "val double"])
+        factors.append(Factor(tuple(f"x{v}" for v in names), spark.createDataFrame([r for r in rows if r[-1]], fields)))
+    names = dict.fromkeys(v for f in factors for v in f.vars)
+    return FactorQuery((), tuple((v, "sum") for v in names), tuple(factors), REAL)
+
+
+def weighted_per_formula(rows: DataFrame, variables: int) -> DataFrame:
+    """``rows``: formula, lits, num, den (a falsified clause weighs num / den) -> formula, weight: the weighted count over
+    ``variables`` variables.  Repeated clauses of a formula count once, with their smallest weight."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        least: dict[Clause, Fraction] = {}
+        for lits, num, den in zip(pdf["lits"], pdf["num"], pdf["den"]):
+            c, w = Clause(int(x) for x in lits), Fraction(int(num), int(den))
+            least[c] = min(w, least.get(c, w))
+        clauses = sorted(least.items(), key=lambda x: sorted(x[0]))
+        order = nested_order([Edge(map(abs, c)) for c in least if c]) if any(least) else ()
+        used = sorted({abs(x) for c in least for x in c})
+        total = truth_table(clauses, used) if order is None else weighted_count_nested(clauses, order)
+        return pd.DataFrame({"formula": [pdf["formula"].iloc[0]], "weight": [float(total * 2 ** (variables - len(used)))]})
+
+    return rows.groupBy("formula").applyInPandas(run, "formula string, weight double")
+
+
 def per_formula(rows: DataFrame, variables: int) -> DataFrame:
     """``rows``: formula, lits (array of non-zero ints) -> formula, sat, models over ``variables`` variables.
 

@@ -37,8 +37,9 @@ def dft(vector: DataFrame, p: int, m: int, key: str | None = None) -> DataFrame:
     return out.select(*keys, x.alias("x"), F.col("val.re").alias("re"), F.col("val.im").alias("im"))
 
 
-def dft_quadratic(vector: DataFrame, n: int) -> DataFrame:
-    spark = vector.sparkSession
-    turn = F.col("x") * F.col("n") * (2 * math.pi / n)
-    grid = vector.crossJoin(spark.range(n).withColumnRenamed("id", "x"))  # the quadratic baseline
-    return grid.groupBy("x").agg(F.sum(F.col("re") * F.cos(turn) - F.col("im") * F.sin(turn)).alias("re"), F.sum(F.col("re") * F.sin(turn) + F.col("im") * F.cos(turn)).alias("im"))
+def dft_quadratic(vector: DataFrame, n: int, key: str | None = None) -> DataFrame:
+    """The quadratic baseline: every output from every input; with ``key``, for each of its vectors."""
+    turn = F.col("x") * F.col("n") % n * (2 * math.pi / n)
+    keys = (key,) if key else ()
+    grid = vector.crossJoin(F.broadcast(vector.sparkSession.range(n).withColumnRenamed("id", "x")))  # n rows
+    return grid.groupBy(*keys, "x").agg(F.sum(F.col("re") * F.cos(turn) - F.col("im") * F.sin(turn)).alias("re"), F.sum(F.col("re") * F.sin(turn) + F.col("im") * F.cos(turn)).alias("im"))
