@@ -70,6 +70,31 @@ QUERIES = {f.__name__: f for f in (
 )}
 
 ORACLES = {
+    "op1_ngram_join": r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS words FROM documents),
+sets AS (
+  SELECT doc_id, CASE WHEN len(words) = 0 THEN [] WHEN len(words) < 5 THEN [array_to_string(words, ' ')]
+                      ELSE list_distinct(list_transform(range(1, len(words) - 3), lambda i: array_to_string(words[i:i + 4], ' '))) END AS s FROM w),
+sizes AS (SELECT doc_id, len(s)::BIGINT AS n FROM sets),
+items AS (SELECT doc_id, unnest(s) AS x FROM sets),
+common AS (SELECT a.doc_id AS a, b.doc_id AS b, COUNT(*) AS k FROM items a JOIN items b ON a.x = b.x AND a.doc_id < b.doc_id GROUP BY 1, 2),
+links AS (SELECT a, b FROM common JOIN sizes x ON x.doc_id = a JOIN sizes y ON y.doc_id = b WHERE 100 * k >= 75 * (x.n + y.n - k)),
+edges AS (SELECT a, b FROM links UNION ALL SELECT b, a FROM links),
+reach(doc_id, other) AS (SELECT doc_id, doc_id FROM sizes UNION SELECT reach.doc_id, edges.b FROM reach JOIN edges ON edges.a = reach.other)
+SELECT doc_id, n AS n_shingles, MIN(other) AS component_id FROM reach JOIN sizes USING (doc_id) GROUP BY 1, 2""",
+    "op7_suffix_dedup": r"""
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+n AS (SELECT doc_id, h, (length(h) // 2)::BIGINT AS n FROM d),
+win AS (SELECT doc_id, p, substr(h, 2 * p + 1, 100) AS x FROM (SELECT doc_id, h, unnest(range(n - 49)) AS p FROM n WHERE n >= 50)),
+first AS (SELECT x, MIN(doc_id) AS f FROM win GROUP BY x HAVING MIN(doc_id) < MAX(doc_id)),
+hit AS (SELECT doc_id, p FROM win JOIN first USING (x) WHERE doc_id > f),
+edge AS (SELECT doc_id, p, CASE WHEN p <= lag(p) OVER (PARTITION BY doc_id ORDER BY p) + 50 THEN 0 ELSE 1 END AS g FROM hit),
+runs AS (SELECT doc_id, MIN(p) AS a, MAX(p) + 50 AS b FROM (SELECT *, SUM(g) OVER (PARTITION BY doc_id ORDER BY p) AS k FROM edge) GROUP BY doc_id, k),
+cuts AS (SELECT *, lead(a) OVER (PARTITION BY doc_id ORDER BY a) AS following FROM runs)
+SELECT n.doc_id, n AS n_bytes, coalesce(SUM(b - a), 0)::BIGINT AS n_removed, COUNT(a) AS n_spans,
+       sha256(unhex(coalesce(substr(h, 1, 2 * MIN(a)) || string_agg(substr(h, 2 * b + 1, 2 * (coalesce(following, n) - b)), '' ORDER BY a), h))) AS kept_sha256
+FROM n LEFT JOIN cuts ON cuts.doc_id = n.doc_id GROUP BY n.doc_id, n, h""",
     "op8_url_filters": r"""
 WITH parts AS (
   SELECT page_id,
