@@ -67,7 +67,7 @@ def mcm_label_gram(spark, d):
 def dft_embedding(spark, d):
     """The transform of every vector: 64 = 2**6."""
     vec = table(spark, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("n", "re")).withColumn("im", F.lit(0.0))
-    return fourier.dft(vec, 2, 6, key="vec_id").select("vec_id", "x", F.round("re", 3).alias("re"), F.round("im", 3).alias("im"))
+    return fourier.dft(vec, 2, 6, key="vec_id").select("vec_id", "x", (F.round("re", 3) + F.lit(0.0)).alias("re"), (F.round("im", 3) + F.lit(0.0)).alias("im"))
 
 
 # -- inference --------------------------------------------------------------------------------------------------

@@ -315,10 +315,7 @@ def _dft(spark, d, p: int, m: int):
     return fourier.dft(vec, p, m, key="vec_id").select("vec_id", "x", rounded("re"), rounded("im"))
 
 
-@workload(_DFT)
-def dft_2_6(spark, d):
-    """Length 64 as 2**6."""
-    return _dft(spark, d, 2, 6)
+ORACLES["dft_embedding"] = _DFT
 
 
 @workload(_DFT)
