@@ -3,7 +3,8 @@
 Every byte maps to one printable character; each vocabulary entry becomes a piece of such characters scored by its
 negative rank, with identity normalisation, so the library's merges follow the ranks.  Pre-tokens are encoded
 separately (a pre-token that is itself an entry is that entry) and decoded by the inverse mapping.
-Defined cases: null or empty texts have no tokens; texts of any length are encoded whole; extra columns are ignored.
+Defined cases: null or empty texts have no tokens; texts of any length are encoded whole; repeated rows are rows of
+their own; extra columns are ignored; an empty table gives no rows.
 """
 
 from __future__ import annotations

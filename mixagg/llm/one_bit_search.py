@@ -8,8 +8,9 @@ k-th exact distance are measured exactly.
 
 Equal vectors are one index entry that keeps the k + 1 smallest ids (more can't appear in any answer), so copies cost
 nothing; cells are split into parts of ``part_rows`` and queries into blocks of ``query_rows``, so tasks are bounded.
-How many cells a query visits is calibrated on the sample for ``target`` recall.
-Defined cases: vectors that are null, zero, of another length than most, or hold null or non-finite components take no
+How many cells a query visits is calibrated on the sample for ``target`` recall; queries that find fewer than k there
+visit all cells, so each has k neighbours, or all candidates.
+Defined cases: repeated ids are rows of their own (as candidates, each may be listed); vectors that are null, zero, of another length than most, or hold null or non-finite components take no
 part, as queries or candidates; ties go to the smaller id; extra columns are ignored; an empty table gives no rows.
 """
 
@@ -158,53 +159,63 @@ def nearest_neighbours(
 
     coded = saved(index.select("id", "v", "ids").mapInArrow(encode, "id long, cell long, length double, own double, code binary, vector binary, ids array<long>"))
 
-    def visit(batches):
-        m = shared.value
-        for batch in batches:
-            if batch.num_rows:
-                x = _matrix(batch.column(1), dim)
-                cells = np.sort(np.argpartition(squared(x, m.centroids), m.visits - 1, axis=1)[:, : m.visits], axis=1) if m.visits < len(m.centroids) else np.tile(np.arange(len(m.centroids)), (len(x), 1))
-                ids = np.repeat(batch.column(0).to_numpy(), cells.shape[1])
-                vec = np.repeat(np.frombuffer(x.tobytes(), f"V{8 * dim}"), cells.shape[1])
-                yield pa.record_batch([pa.array(ids), pa.array(cells.ravel()), binary_array(vec.tobytes(), np.full(len(ids), 8 * dim))], ["id", "cell", "vector"])
-
-    # Block sizes: at most as many rows as there are cells, a bound that the model sets.
-    cell_rows = coded.groupBy("cell").agg(F.ceil(F.count("*") / part_rows).alias("parts"))
-    visits = distinct.select("id", "v").mapInArrow(visit, "id long, cell long, vector binary")
-    visit_rows = saved(visits)
-    cell_visits = visit_rows.groupBy("cell").agg(F.ceil(F.count("*") / query_rows).alias("blocks"))
-    plan = F.broadcast(cell_rows.join(cell_visits, "cell"))  # one row a cell; cells are at most 4096
-    key = F.xxhash64("cell", "part", "block").alias("key")
-    left = coded.join(plan, "cell").select("*", F.pmod(F.xxhash64("id"), "parts").alias("part"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
-    right = visit_rows.join(plan, "cell").select("*", F.pmod(F.xxhash64("id"), "blocks").alias("block"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"))
-    null = lambda t: F.lit(None).cast(t)
-    both = left.select(key, F.lit(1).alias("kind"), "id", "cell", "length", "own", "code", "vector", "ids").unionByName(
-        right.select(key, F.lit(0).alias("kind"), "id", "cell", null("double").alias("length"), null("double").alias("own"), null("binary").alias("code"), "vector", null("array<long>").alias("ids")))
-
-    def find(cols, starts):
-        m, got = shared.value, []
-        ends = np.r_[starts[1:], len(cols["key"])]
-        for a, b in zip(starts, ends):
-            cut = a + int((cols["kind"][a:b] == 0).sum())
-            if cut == a or cut == b:
-                continue
-            read = lambda c, i, j, t, w: np.frombuffer(b"".join(cols[c].slice(i, j - i).to_pylist()), t).reshape(-1, w)  # noqa: E731, B023
-            q, x = read("vector", a, cut, np.float64, dim), read("vector", cut, b, np.float64, dim)
-            code = read("code", cut, b, np.uint8, (dim + 7) // 8)
-            found = search_block(m, int(cols["cell"][a]), q, x, cols["length"][cut:b], code, cols["own"][cut:b], k + 1, bound)
-            for i, (rows_, d) in enumerate(found):
-                got.append((int(cols["id"][a + i]), d, cut + rows_))
-        if not got:
-            return None
-        q_ids = np.concatenate([np.full(len(d), q, np.int64) for q, d, _ in got])
-        ids = [cols["ids"][i] for _, _, rows_ in got for i in rows_]
-        return pa.record_batch([pa.array(q_ids), pa.array(np.concatenate([d for _, d, _ in got])), pa.array(ids, pa.list_(pa.int64()))], ["id", "score", "ids"])
-
-    hits = both.repartition("key").sortWithinPartitions("key", "kind").mapInArrow(grouped("key", find), "id long, score double, ids array<long>")
-    each = hits.select("id", "score", F.explode("ids").alias("vec_id"))
-    top = each.withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy("score", "vec_id"))).where(F.col("r") <= k + 1)
-    best = top.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("score", "vec_id"))).alias("best"))
+    def look(some: DataFrame, cells_each: int) -> DataFrame:
+        """id, best: the k + 1 nearest found for each query of ``some`` in the cells nearest to it."""
+
+        def visit(batches):
+            m = shared.value
+            for batch in batches:
+                if batch.num_rows:
+                    x = _matrix(batch.column(1), dim)
+                    cells = np.sort(np.argpartition(squared(x, m.centroids), cells_each - 1, axis=1)[:, : cells_each], axis=1) if cells_each < len(m.centroids) else np.tile(np.arange(len(m.centroids)), (len(x), 1))
+                    ids = np.repeat(batch.column(0).to_numpy(), cells.shape[1])
+                    vec = np.repeat(np.frombuffer(x.tobytes(), f"V{8 * dim}"), cells.shape[1])
+                    yield pa.record_batch([pa.array(ids), pa.array(cells.ravel()), binary_array(vec.tobytes(), np.full(len(ids), 8 * dim))], ["id", "cell", "vector"])
+
+        # Block sizes: at most as many rows as there are cells, a bound that the model sets.
+        cell_rows = coded.groupBy("cell").agg(F.ceil(F.count("*") / part_rows).alias("parts"))
+        visits = some.select("id", "v").mapInArrow(visit, "id long, cell long, vector binary")
+        visit_rows = saved(visits)
+        cell_visits = visit_rows.groupBy("cell").agg(F.ceil(F.count("*") / query_rows).alias("blocks"))
+        plan = F.broadcast(cell_rows.join(cell_visits, "cell"))  # one row a cell; cells are at most 4096
+        key = F.xxhash64("cell", "part", "block").alias("key")
+        left = coded.join(plan, "cell").select("*", F.pmod(F.xxhash64("id"), "parts").alias("part"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("block"))
+        right = visit_rows.join(plan, "cell").select("*", F.pmod(F.xxhash64("id"), "blocks").alias("block"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"))
+        null = lambda t: F.lit(None).cast(t)
+        both = left.select(key, F.lit(1).alias("kind"), "id", "cell", "length", "own", "code", "vector", "ids").unionByName(
+            right.select(key, F.lit(0).alias("kind"), "id", "cell", null("double").alias("length"), null("double").alias("own"), null("binary").alias("code"), "vector", null("array<long>").alias("ids")))
+
+        def find(cols, starts):
+            m, got = shared.value, []
+            ends = np.r_[starts[1:], len(cols["key"])]
+            for a, b in zip(starts, ends):
+                cut = a + int((cols["kind"][a:b] == 0).sum())
+                if cut == a or cut == b:
+                    continue
+                read = lambda c, i, j, t, w: np.frombuffer(b"".join(cols[c].slice(i, j - i).to_pylist()), t).reshape(-1, w)  # noqa: E731, B023
+                q, x = read("vector", a, cut, np.float64, dim), read("vector", cut, b, np.float64, dim)
+                code = read("code", cut, b, np.uint8, (dim + 7) // 8)
+                found = search_block(m, int(cols["cell"][a]), q, x, cols["length"][cut:b], code, cols["own"][cut:b], k + 1, bound)
+                for i, (rows_, d) in enumerate(found):
+                    got.append((int(cols["id"][a + i]), d, cut + rows_))
+            if not got:
+                return None
+            q_ids = np.concatenate([np.full(len(d), q, np.int64) for q, d, _ in got])
+            ids = [cols["ids"][i] for _, _, rows_ in got for i in rows_]
+            return pa.record_batch([pa.array(q_ids), pa.array(np.concatenate([d for _, d, _ in got])), pa.array(ids, pa.list_(pa.int64()))], ["id", "score", "ids"])
+
+        hits = both.repartition("key").sortWithinPartitions("key", "kind").mapInArrow(grouped("key", find), "id long, score double, ids array<long>")
+        each = hits.select("id", "score", F.explode("ids").alias("vec_id"))
+        top = each.withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy("score", "vec_id"))).where(F.col("r") <= k + 1)
+        return saved(top.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("score", "vec_id"))).alias("best")))
+
+    best = look(distinct, model.visits)
     members = asked.select(F.col("id").alias("query_id"), "v").join(distinct, "v").select("query_id", "id")
-    own_out = members.join(best, "id").select("query_id", F.slice(F.filter("best", lambda b: b["vec_id"] != F.col("query_id")), 1, k).alias("best"))
+    others = F.filter("best", lambda b: b["vec_id"] != F.col("query_id"))
+    if model.visits < len(model.centroids):  # cells that hold too few rows: those queries visit all
+        few = saved(members.join(best, "id", "left").where(F.coalesce(F.size(others), F.lit(0)) < k).select("id").distinct())
+        if not few.isEmpty():
+            best = best.join(few, "id", "left_anti").unionByName(look(distinct.join(few, "id"), len(model.centroids)))
+    own_out = members.join(best, "id").select("query_id", F.slice(others, 1, k).alias("best"))
     return own_out.select("query_id", F.posexplode("best").alias("p", "b")).select(
         "query_id", (F.col("p") + 1).cast("int").alias("rank"), F.col("b.vec_id").alias("vec_id"), F.col("b.score").alias("score"))

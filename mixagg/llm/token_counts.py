@@ -7,7 +7,7 @@ the sums on the paths to the root.
 
 Defined cases: a null text is empty; null or empty edit lists leave the count; positions beyond the text's end are
 clipped to it, negative ones to its start; edits apply in order, each to the text the former ones left; extra columns
-are ignored; repeated rows are counted as often as they occur.
+are ignored; repeated rows are counted as often as they occur; an empty table gives no rows.
 """
 
 from __future__ import annotations

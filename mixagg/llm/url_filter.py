@@ -9,7 +9,7 @@ exact, and judging a url needs no join.
 
 Sizes: level 0 takes a false-positive rate such that about as many candidates pass as are listed, so all levels
 together hold O(listed * log(universe / listed)) bits; that, not the corpus, bounds the broadcast.
-Defined cases: a null url or one without ``://`` has an empty host and path and fits no rule; extra columns are
+Defined cases: repeated rows are judged alike, urls of any length whole; a null url or one without ``://`` has an empty host and path and fits no rule; extra columns are
 ignored; an empty table gives no rows; no rules means that every url gets the default verdict.
 """
 

@@ -192,3 +192,32 @@ def test_one_bit_search_recall_and_scores(spark, n):
         found, total = found + len({m[1] for m in mine} & {t[1] for t in truth}), total + len(truth)
     assert found >= 0.9 * total
     assert {g.query_id for g in got} <= set(valid)
+
+
+def test_queries_in_small_cells_still_find_k(spark, monkeypatch):
+    monkeypatch.setattr(one_bit_search, "calibrate", lambda *a, **k: 1)
+    r = np.random.default_rng(8)
+    rows = [(i, (np.eye(8)[i % 8] * 50 + r.normal(size=8) * (0.01 if i % 8 else 3)).tolist()) for i in range(64)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = one_bit_search.nearest_neighbours(df, df, k=10).collect()
+    assert {q: sum(x.query_id == q for x in got) for q in range(64)} == dict.fromkeys(range(64), 10)
+    assert all(len({x.vec_id for x in got if x.query_id == q} | {q}) == 11 for q in range(64))
+
+
+def test_empty_and_repeated_rows(spark):
+    none = spark.createDataFrame([], "doc_id long, text string, comp string")
+    path, multi = public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    assert packing.pack_documents(none, path, public_tokenizers.PATTERN).count() == 0
+    assert byte_bpe.encode_digests(none, multi).count() == 0
+    assert token_counts.count_with_edits(none.withColumn("edits", token_counts.revision_edits()), path, public_tokenizers.PATTERN).count() == 0
+    vectors = spark.createDataFrame([], "vec_id long, embedding array<double>")
+    assert one_bit_search.nearest_neighbours(vectors, vectors).count() == 0
+    text = "some words, repeated 123 times. " * 12_000  # longer than a slice
+    twice = spark.createDataFrame([(1, text, "c"), (1, text, "c"), (2, None, "c")], "doc_id long, text string, comp string")
+    out = byte_bpe.encode_digests(twice, multi).collect()
+    assert sorted(r.doc_id for r in out) == [1, 1, 2] and len({(r.n_tokens, r.ids_sha256) for r in out}) == 2
+    pieces = packing.pack_documents(twice, path, public_tokenizers.PATTERN).collect()
+    ids = {r.doc_tokens for r in pieces if r.doc_id == 1}
+    assert len(ids) == 1 and sum(r.length for r in pieces if r.doc_id == 1) == 2 * ids.pop()
+    counted = token_counts.count_with_edits(twice.withColumn("edits", token_counts.revision_edits()), path, public_tokenizers.PATTERN).collect()
+    assert sorted(r.doc_id for r in counted) == [1, 1, 2]
