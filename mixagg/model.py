@@ -70,6 +70,26 @@ class Factor:
         """The indicator projection: which values of ``on`` have a non-zero row."""
         return self.df.select(*on).distinct()
 
+    def value_at(self, points: DataFrame, algebra: Algebra) -> DataFrame:
+        """The factor's values at points that name all its variables; zero where it has no row."""
+        found = points.join(self.df.select(*self.vars, F.col("val").alias("__val")), list(self.vars), "left")
+        return found.select(*points.columns, F.coalesce("__val", algebra.zero()).alias("val"))
+
+    def next_value(self, points: DataFrame, variable: str, least: str) -> DataFrame:
+        """For points over some other variables and a bound in column ``least``: the factor's smallest value of ``variable``
+        there that is not below the bound; null if there is none."""
+        on = [v for v in self.vars if v in points.columns]
+        rows = self.project((*on, variable))
+        near = points.join(rows, on, "left") if on else points.crossJoin(F.broadcast(rows.agg(F.sort_array(F.collect_set(variable)).alias("all"))).select(F.explode("all").alias(variable)))
+        return near.groupBy(*points.columns).agg(F.min(F.when(F.col(variable) >= F.col(least), F.col(variable))).alias("next"))
+
+    def product_marginal(self, k: str, domain: Domain, algebra: Algebra) -> Factor:
+        """The factor with one variable multiplied out over its whole domain."""
+        keep = tuple(v for v in self.vars if v != k)
+        inside = self.df.join(domain.df.select(F.col(domain.df.columns[0]).alias(k)), k, "left_semi")
+        grouped = inside.groupBy(*keep).agg(F.count("*").alias("__n"), algebra.product(F.col("val")).alias("val"))
+        return Factor(keep, grouped.where((F.col("__n") == domain.size) & algebra.nonzero(F.col("val"))).select(*keep, "val"))
+
     def given(self, **values) -> Factor:
         """The factor under a partial assignment."""
         df = self.df

@@ -74,11 +74,7 @@ def product_step(q: FactorQuery, live: list[Factor], k: str, meter: Meter | None
     size, out = q.domains[k].size, []
     for f in live:
         if k in f.vars:
-            keep = tuple(v for v in f.vars if v != k)
-            inside = f.df.join(q.domains[k].df.select(F.col(q.domains[k].df.columns[0]).alias(k)), k, "left_semi")
-            grouped = inside.groupBy(*keep).agg(F.count("*").alias("__n"), q.algebra.product(F.col("val")).alias("val"))
-            df = grouped.where((F.col("__n") == size) & q.algebra.nonzero(F.col("val"))).select(*keep, "val")
-            out.append(Factor(keep, df))
+            out.append(f.product_marginal(k, q.domains[k], q.algebra))
         else:
             out.append(Factor(f.vars, f.df.select(*f.vars, q.algebra.powered(F.col("val"), size).alias("val"))))
     if meter:
@@ -134,6 +130,11 @@ class Result:
         missing = F.greatest(*[c.isNull() for c in known]) if len(known) > 1 else known[0].isNull()
         return out.select(*points.columns, F.when(missing, self.query.algebra.zero()).otherwise(total).alias("val"))
 
+    def enumerated(self) -> DataFrame:
+        """The listing in the order of the free variables, range-partitioned, so each partition can be read with constant
+        delay and the partitions one after the other give the whole order."""
+        return self.listing().repartitionByRange(*self.query.free).sortWithinPartitions(*self.query.free)
+
     def factorized(self) -> list[DataFrame]:
         """One relation a free variable, range-partitioned and sorted by the variables before it."""
         return [b.repartitionByRange(*b.columns).sortWithinPartitions(*b.columns) for b in self.bags]
@@ -159,7 +160,7 @@ def eliminate(q: FactorQuery, order: tuple[str, ...] | str | None = None, indica
         order = q.order
     elif check and not ordering.theory(q, idempotent_inputs).is_safe(order):
         raise ValueError(f"{order} may give another function")
-    q = checked(q.reordered(tuple(order)))
+    q = checked(q.reordered(tuple(order)), idempotent_inputs)
     live = list(q.factors)
     for k, agg in reversed(q.bound):
         live = product_step(q, live, k, meter) if agg == PRODUCT else semiring_step(q, live, k, agg, indicators, how, meter)
@@ -168,13 +169,19 @@ def eliminate(q: FactorQuery, order: tuple[str, ...] | str | None = None, indica
     return Result(q, live, filter_bags(q, live) if output == "filtered" and q.free else [])
 
 
-def checked(q: FactorQuery) -> FactorQuery:
-    """The query with factors that fail, as their rows are read, on values that a maximum can't take: negative or NaN."""
-    if not (q.algebra.non_negative and any(a == "max" for _, a in q.bound)):
-        return q
-    v = F.col("val")
-    bad = (v < 0) | F.isnan(v.cast("double"))
-    return replace(q, factors=tuple(Factor(f.vars, f.df.withColumn("val", F.when(bad, F.raise_error(F.lit("max needs non-negative values")).cast(q.algebra.dtype)).otherwise(v))) for f in q.factors))
+def _refuse(q: FactorQuery, bad, why: str) -> FactorQuery:
+    failing = F.when(bad(F.col("val")), F.raise_error(F.lit(why)).cast(q.algebra.dtype)).otherwise(F.col("val"))
+    return replace(q, factors=tuple(Factor(f.vars, f.df.withColumn("val", failing)) for f in q.factors))
+
+
+def checked(q: FactorQuery, idempotent_inputs: bool = False) -> FactorQuery:
+    """The query with factors that fail, as their rows are read, on values that its plan can't take: negative or NaN under
+    a maximum; v * v unlike v where the caller says that no input has such."""
+    if q.algebra.non_negative and any(a == "max" for _, a in q.bound):
+        q = _refuse(q, lambda v: (v < 0) | F.isnan(v.cast("double")), "max needs non-negative values")
+    if idempotent_inputs and any(a == PRODUCT for _, a in q.bound) and q.algebra.dtype != "array":
+        q = _refuse(q, lambda v: ~q.algebra.idempotent(v), "an input is not idempotent")
+    return q
 
 
 def answer(q: FactorQuery, **options) -> DataFrame:

@@ -37,6 +37,21 @@ def dft(vector: DataFrame, p: int, m: int, key: str | None = None) -> DataFrame:
     return out.select(*keys, x.alias("x"), F.col("val.re").alias("re"), F.col("val.im").alias("im"))
 
 
+def butterfly(vector: DataFrame, p: int, m: int, key: str | None = None) -> DataFrame:
+    """The radix-p butterfly written out: m rounds, each of which trades the highest digit of n left for one more digit of x
+    and multiplies by the phase of that pair; rows stay p**m, times p within a round."""
+    n, keys = p**m, (key,) if key else ()
+    cur = vector.select(*keys, F.col("n").cast("long").alias("n"), F.lit(0).cast("long").alias("x"), F.col("re").cast("double").alias("re"), F.col("im").cast("double").alias("im"))
+    for j in range(m):
+        size = p ** (m - 1 - j)  # n's digit k = m - 1 - j meets digits 0..j of x
+        wide = cur.withColumn("high", F.floor(F.col("n") / size)).withColumn("n", F.col("n") % size).withColumn("digit", F.explode(F.sequence(F.lit(0), F.lit(p - 1))))
+        wide = wide.withColumn("x", F.col("x") + F.col("digit") * p**j)
+        turn = (F.col("x") * F.col("high") * size % n) * (2 * math.pi / n)
+        re, im = F.col("re") * F.cos(turn) - F.col("im") * F.sin(turn), F.col("re") * F.sin(turn) + F.col("im") * F.cos(turn)
+        cur = wide.select(*keys, "n", "x", re.alias("re"), im.alias("im")).groupBy(*keys, "n", "x").agg(F.sum("re").alias("re"), F.sum("im").alias("im"))
+    return cur.select(*keys, "x", "re", "im")
+
+
 def dft_quadratic(vector: DataFrame, n: int, key: str | None = None) -> DataFrame:
     """The quadratic baseline: every output from every input; with ``key``, for each of its vectors."""
     turn = F.col("x") * F.col("n") % n * (2 * math.pi / n)

@@ -1,6 +1,6 @@
-"""Joins of several factors: Catalyst's binary joins, or a stepwise join within the size bound.
+"""Joins of several factors: Catalyst's binary joins, a stepwise join within the size bound, or one round over a hypercube.
 
-Both return the joined variables and one value column a factor (``v0``, ``v1``, ...).
+All return the joined variables and one value column a factor (``v0``, ``v1``, ...).
 """
 
 from __future__ import annotations
@@ -76,12 +76,35 @@ def stepwise_join(factors: list[Factor], order: list[str]) -> DataFrame:
     return out
 
 
+def hypercube_join(factors: list[Factor], shares: dict[str, int]) -> DataFrame:
+    """A join in one round: the result's space is cut into a cell for each combination of hashed variables, ``shares``
+    says into how many parts per variable.  A row goes to all cells that it can meet another in, so it is copied by the
+    shares of the variables it lacks; each result lies in exactly one cell, and no intermediate join is shuffled again."""
+    def dealt(i: int) -> DataFrame:
+        f = factors[i]
+        df = f.df.select(*f.vars, F.col("val").alias(f"v{i}"))
+        for v, parts in shares.items():
+            here = F.pmod(F.xxhash64(v), F.lit(parts)).cast("int") if v in f.vars else F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))
+            df = df.withColumn(f"cell_{v}", here)
+        return df.withColumn("cell", F.hash(*[f"cell_{v}" for v in shares])).drop(*[f"cell_{v}" for v in shares]).repartition("cell")
+
+    out, seen = None, set()
+    for i in connected_order(factors):
+        side = dealt(i)
+        out = side if out is None else out.join(side, ["cell", *(v for v in factors[i].vars if v in seen)])
+        seen |= set(factors[i].vars)
+    return out.drop("cell")
+
+
 def join(factors: list[Factor], how: str = "binary") -> DataFrame:
     if how == "stepwise":
         order: list[str] = []
         for i in connected_order(factors):
             order += [v for v in factors[i].vars if v not in order]
         return stepwise_join(factors, order)
+    if how == "hypercube":
+        names = dict.fromkeys(v for f in factors for v in f.vars if sum(v in g.vars for g in factors) > 1)
+        return hypercube_join(factors, dict.fromkeys(names, 3))
     if how != "binary":
         raise ValueError(how)
     return binary_join(factors)

@@ -5,7 +5,7 @@ import math
 import duckdb
 import pytest
 
-from mixagg import workloads, workloads_plans  # noqa: F401
+from mixagg import workloads, workloads_more, workloads_plans  # noqa: F401
 from mixagg.model import Factor, FactorQuery
 from mixagg.functions.algebra import COUNT
 from mixagg.operators import cnf, evaluate
@@ -13,7 +13,7 @@ from mixagg.plans import cost, ordering
 from pyspark.errors import PySparkException
 
 SF = "/root/testdata/sf0.001"
-NAMES = sorted(n for n, f in workloads.QUERIES.items() if f.__module__ == "mixagg.workloads_plans")
+NAMES = sorted(n for n, f in workloads.QUERIES.items() if f.__module__ in ("mixagg.workloads_plans", "mixagg.workloads_more"))
 TABLES = "region nation customer supplier part orders lineitem events embeddings".split()
 
 
@@ -50,3 +50,13 @@ def test_costs_of_a_product():
 def test_weighted_query_equals_truth_table(spark):
     clauses = [(cnf.Clause(c), 0.25) for c in ({1, -2}, {2, 3}, {-3, 1}, {-1})]
     assert evaluate.answer(cnf.as_query(spark, clauses)).first()[0] == float(cnf.truth_table(clauses, [1, 2, 3]))
+
+
+def test_wrong_claims_of_idempotent_inputs_fail(spark):
+    f = Factor(("a", "b"), spark.createDataFrame([(1, 1, 2), (1, 2, 1)], "a int, b int, val long"))
+    from mixagg.model import PRODUCT, Domain
+
+    q = FactorQuery(("a",), (("b", PRODUCT),), (f,), COUNT, {"b": Domain.values(spark, "b", [1, 2], "int")})
+    with pytest.raises(PySparkException, match="not idempotent"):
+        evaluate.answer(q, idempotent_inputs=True).collect()
+    assert [tuple(r) for r in evaluate.answer(q).collect()] == [(1, 2)]
