@@ -31,7 +31,7 @@ def frequent_shingles(docs: DataFrame, width: int, top: int = TOP_SHINGLES, per_
 
     def count(batches):
         seen = Frequent(per_task)
-        for _ in over_texts(lambda part, texts: seen.add(shingles(texts, width)[0] >> np.uint64(6)), max_bytes=1 << 22)(batches):
+        for _ in over_texts(lambda part, texts: seen.add(shingles(texts, width)[0] >> np.uint64(6)), max_bytes=1 << 21)(batches):
             pass
         yield seen.batch()
 

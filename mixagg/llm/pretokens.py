@@ -111,7 +111,7 @@ class PretokenCache:
     everything starts afresh.
     """
 
-    def __init__(self, encode: Callable[[list[str]], list], bits: int = 19, limit: int = 400_000, room: int = 1 << 24) -> None:
+    def __init__(self, encode: Callable[[list[str]], list], bits: int = 19, limit: int = 400_000, room: int = 1 << 22) -> None:
         self.encode, self.mask, self.limit, self.room = encode, np.uint64((1 << bits) - 1), limit, room
         self.reset()
 

@@ -307,3 +307,11 @@ def test_model_probabilities_sum_to_one():
     for ctx in [*(code[:40] >> 6), 99999]:
         p = np.exp(m.score((np.uint32(ctx) << np.uint32(6)) | np.arange(64, dtype=np.uint32)))
         assert abs(p.sum() - 1) < 1e-4 and (p > 0).all()
+
+
+def test_teachers_are_the_same_either_way(spark, monkeypatch):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    every = [sorted(tuple(r) for r in quality.judge_documents(docs, labels=labels).collect())]
+    monkeypatch.setattr(quality, "BROADCAST_IDS", 0)
+    every.append(sorted(tuple(r) for r in quality.judge_documents(docs, labels=labels).collect()))
+    assert every[0] == every[1]
