@@ -91,3 +91,27 @@ def sets(universe: list) -> Algebra:
         {"union": lambda v: F.sort_array(F.array_distinct(F.flatten(F.collect_set(v))))}, lambda v: F.lit(True),
         lambda v: F.aggregate(F.collect_list(v), full(), lambda a, b: F.array_intersect(a, b)),
     )
+
+
+def moments(features: list[str]) -> Algebra:
+    """Counts, sums and second moments of some features, as one value: n, s_x, xx_x_y.
+
+    The product is that of independent parts of a row, so moments of a join are a sum of products over its factors.
+    """
+    pairs = [(a, b) for i, a in enumerate(features) for b in features[i:]]
+    names = ["n", *(f"s_{a}" for a in features), *(f"xx_{a}_{b}" for a, b in pairs)]
+
+    def made(n: Column, s: dict, xx: dict) -> Column:
+        return F.struct(n.alias("n"), *[s[a].alias(f"s_{a}") for a in features], *[xx[p].alias(f"xx_{p[0]}_{p[1]}") for p in pairs])
+
+    def only(n: int):
+        zero = F.lit(0).cast("long")
+        return lambda: made(F.lit(n).cast("long"), dict.fromkeys(features, zero), dict.fromkeys(pairs, zero))
+
+    def times(u: Column, v: Column) -> Column:
+        s = {a: u["n"] * v[f"s_{a}"] + v["n"] * u[f"s_{a}"] for a in features}
+        both = lambda a, b: u["n"] * v[f"xx_{a}_{b}"] + v["n"] * u[f"xx_{a}_{b}"] + u[f"s_{a}"] * v[f"s_{b}"] + v[f"s_{a}"] * u[f"s_{b}"]
+        return made(u["n"] * v["n"], s, {p: both(*p) for p in pairs})
+
+    total = lambda v: F.when(F.count(v) > 0, F.struct(*[F.sum(v[x]).alias(x) for x in names]))
+    return Algebra("moments", f"struct<{','.join(f'{x}:bigint' for x in names)}>", only(1), only(0), times, {"sum": total}, lambda v: F.lit(False), lambda v: F.aggregate(F.collect_list(v), only(1)(), times))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
 from functools import reduce
 
 from pyspark.sql import DataFrame
@@ -10,6 +9,7 @@ from pyspark.sql import functions as F
 
 from mixagg.model import PRODUCT, Factor, FactorQuery
 from mixagg.operators import evaluate, multijoin
+from mixagg.operators.bags import over_bags
 from mixagg.plans import ordering, widths
 
 
@@ -105,19 +105,7 @@ def count_distinct_projection(q: FactorQuery) -> DataFrame:
 
 def decomposition_join(q: FactorQuery) -> DataFrame:
     """Joins each bag of the best order's tree decomposition by itself, then the bags along their tree."""
-    order = widths.best_order(q.edges)
-    bags, _ = widths.order_to_decomposition(q.edges, order)
-    tops = [u for u in set(bags.values()) if not any(u < w for w in bags.values())]
-    left, parts = list(q.factors), []
-    for bag in sorted(tops, key=sorted):
-        own = [f for f in left if set(f.vars) <= bag]
-        left = [f for f in left if not set(f.vars) <= bag]
-        part = {v for f in own for v in f.vars}
-        ones = [Factor(on, f.project(on).withColumn("val", q.algebra.one())) for f in q.factors if f not in own and (on := tuple(v for v in f.vars if v in bag)) and not set(on) <= part]
-        names = tuple(v for v in q.order if v in bag)
-        joined = multijoin.join([*own, *ones])
-        parts.append(Factor(names, joined.select(*names, q.algebra.fold([F.col(f"v{i}") for i in range(len(own) + len(ones))]).alias("val"))))
-    return acyclic_join(replace(q, factors=tuple(parts)))
+    return acyclic_join(over_bags(q))
 
 
 def union_all(parts: list[DataFrame]) -> DataFrame:

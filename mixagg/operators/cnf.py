@@ -10,11 +10,13 @@ from fractions import Fraction
 from itertools import product
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from mixagg.functions.algebra import REAL
 from mixagg.model import Factor, FactorQuery
 from mixagg.plans.widths import Edge, nested_order
+from mixagg.sources.steps import kept
 
 Clause = frozenset
 
@@ -138,3 +140,30 @@ def per_formula(rows: DataFrame, variables: int) -> DataFrame:
         return pd.DataFrame({"formula": [pdf["formula"].iloc[0]], "sat": [satisfiable(clauses, order or None)], "models": [int(models * 2**free)]})
 
     return rows.dropDuplicates(["formula", "lits"]).groupBy("formula").applyInPandas(run, "formula string, sat boolean, models long")
+
+
+def satisfiable_by_joins(rows: DataFrame, order: Iterable[int]) -> DataFrame:
+    """``rows``: formula, lits -> formula, sat.  All formulas lose one variable at a time, the last of ``order`` first: a
+    step joins the clauses that have it with those that have its negation, so one large formula is spread over tasks.
+
+    ``order`` names every variable.  Each step's clauses are written, since the next one reads them several times.
+    """
+    def clash(lits: Column) -> Column:
+        return F.arrays_overlap(lits, F.transform(lits, lambda x: -x))
+
+    def cleaned(df: DataFrame) -> DataFrame:
+        df = kept(df.where(~clash(F.col("lits"))).dropDuplicates(["formula", "lits"]))
+        less = df.select("formula", F.col("lits").alias("less"))
+        inside = (df["formula"] == less["formula"]) & (F.size("less") < F.size("lits")) & (F.size(F.array_except("less", "lits")) == 0)
+        return df.join(less, inside, "left_anti")
+
+    live = cleaned(rows.select("formula", F.sort_array(F.array_distinct(F.col("lits").cast("array<int>"))).alias("lits")))
+    for v in reversed(list(order)):
+        live = kept(live)
+        has = lambda x: F.array_contains("lits", x)
+        pos = live.where(has(v)).select("formula", F.array_remove("lits", v).alias("p"))
+        neg = live.where(has(-v)).select("formula", F.array_remove("lits", -v).alias("n"))
+        made = pos.join(neg, "formula").select("formula", F.sort_array(F.array_union("p", "n")).alias("lits"))
+        live = cleaned(live.where(~has(v) & ~has(-v)).unionByName(made))
+    failed = live.where(F.size("lits") == 0).select("formula").distinct().withColumn("failed", F.lit(True))
+    return rows.select("formula").distinct().join(failed, "formula", "left").select("formula", F.col("failed").isNull().alias("sat"))

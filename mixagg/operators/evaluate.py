@@ -9,6 +9,7 @@ filters now and joins later is written once and read back.  All else is lazy, so
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
@@ -16,7 +17,9 @@ from pyspark.sql import functions as F
 
 from mixagg.model import PRODUCT, Factor, FactorQuery
 from mixagg.operators import multijoin
+from mixagg.operators.bags import over_bags
 from mixagg.plans import ordering
+from mixagg.plans.widths import join_tree
 from mixagg.sources.steps import kept
 
 
@@ -211,13 +214,14 @@ def fold_sums(q: FactorQuery, rows: DataFrame) -> DataFrame:
 def calibrate(q: FactorQuery, agg: str) -> list[Factor]:
     """Message passing on a join tree of an acyclic query with one sum: each bag ends with the whole query's marginal.
 
+    A cyclic query's bags are those of a tree decomposition, each written once; otherwise they are its factors, in order.
     Messages leave out the edge they are sent over, so no division is needed.
     """
-    from mixagg.plans.widths import join_tree
-
     tree = join_tree(q.edges)
     if tree is None:
-        raise ValueError("the query has cycles; join its bags first")
+        q = over_bags(q)
+        q = replace(q, factors=tuple(Factor(f.vars, kept(f.df)) for f in q.factors))
+        tree = join_tree(q.edges)
     near: dict[int, list[int]] = {i: [] for i in range(len(q.factors))}
     for i, j in tree:
         near[i].append(j)
@@ -239,6 +243,31 @@ def calibrate(q: FactorQuery, agg: str) -> list[Factor]:
     return [gathered(i, None) for i in range(len(q.factors))]
 
 
+def output_times(q: FactorQuery, points: DataFrame) -> list[tuple[str, str, int, float]]:
+    """(form, phase, rows, seconds) of the three ways to give a result: what is made before it is asked, the values at
+    ``points`` (columns: the free variables), and reading the whole result."""
+    out = []
+
+    def timed(form: str, phase: str, make):
+        start = time.perf_counter()
+        df = kept(make())
+        out.append((form, phase, df.count(), time.perf_counter() - start))
+        return df
+
+    zero = q.algebra.zero()
+    listed = timed("listing", "before", lambda: eliminate(q).listing())
+    timed("listing", "values", lambda: points.join(listed, list(q.free), "left").withColumn("val", F.coalesce("val", zero)))
+    timed("listing", "reading", lambda: listed)
+    query = eliminate(q, output="query")
+    timed("query", "values", lambda: query.value(points))
+    timed("query", "reading", lambda: query.listing())
+    whole = eliminate(q)
+    whole.bags = [timed("factorized", f"before {v}", lambda b=b: b) for v, b in zip(whole.query.free, whole.factorized())]
+    timed("factorized", "values", lambda: whole.value(points))
+    timed("factorized", "reading", lambda: whole.enumerated())
+    return out
+
+
 def lift_variance(df: DataFrame, keys: list[str], value: str) -> DataFrame:
     """A population variance as three sums that combine, finished by one expression."""
     v = F.col(value)

@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from mixagg.model import Factor
+from mixagg.plans import widths
 
 
 def connected_order(factors: list[Factor]) -> list[int]:
@@ -96,7 +97,27 @@ def hypercube_join(factors: list[Factor], shares: dict[str, int]) -> DataFrame:
     return out.drop("cell")
 
 
+def first_join_rows(factors: list[Factor]) -> int:
+    """Exactly how many rows the first of the binary joins makes, from the counts of its keys."""
+    a, b = (factors[i] for i in connected_order(factors)[:2])
+    on = [v for v in a.vars if v in b.vars]
+    counted = lambda f, n: f.df.groupBy(*on).agg(F.count("*").alias(n))
+    return (counted(a, "m").join(counted(b, "n"), on) if on else counted(a, "m").crossJoin(counted(b, "n"))).agg(F.sum(F.col("m") * F.col("n"))).first()[0] or 0
+
+
+def choose(factors: list[Factor]) -> str:
+    """Binary joins, unless the factors form a cycle and the first join alone makes more rows than the whole bag may have."""
+    factors = [f for f in factors if f.vars]
+    edges = [frozenset(f.vars) for f in factors]
+    if len(factors) < 3 or widths.is_alpha_acyclic(edges):
+        return "binary"
+    bound = widths.size_bound(edges, frozenset().union(*edges), [max(f.size(), 1) for f in factors])
+    return "stepwise" if first_join_rows(factors) > bound else "binary"
+
+
 def join(factors: list[Factor], how: str = "binary") -> DataFrame:
+    if how == "auto":
+        how = choose(factors)
     if how == "stepwise":
         order: list[str] = []
         for i in connected_order(factors):

@@ -5,7 +5,7 @@ import math
 import duckdb
 import pytest
 
-from mixagg import workloads, workloads_more, workloads_plans  # noqa: F401
+from mixagg import workloads, workloads_more, workloads_outputs, workloads_plans  # noqa: F401
 from mixagg.model import Factor, FactorQuery
 from mixagg.functions.algebra import COUNT
 from mixagg.operators import cnf, evaluate
@@ -13,7 +13,7 @@ from mixagg.plans import cost, ordering
 from pyspark.errors import PySparkException
 
 SF = "/root/testdata/sf0.001"
-NAMES = sorted(n for n, f in workloads.QUERIES.items() if f.__module__ in ("mixagg.workloads_plans", "mixagg.workloads_more"))
+NAMES = sorted(n for n, f in workloads.QUERIES.items() if f.__module__ in ("mixagg.workloads_plans", "mixagg.workloads_more", "mixagg.workloads_outputs"))
 TABLES = "region nation customer supplier part orders lineitem events embeddings".split()
 
 
