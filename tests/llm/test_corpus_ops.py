@@ -315,3 +315,16 @@ def test_teachers_are_the_same_either_way(spark, monkeypatch):
     monkeypatch.setattr(quality, "BROADCAST_IDS", 0)
     every.append(sorted(tuple(r) for r in quality.judge_documents(docs, labels=labels).collect()))
     assert every[0] == every[1]
+
+
+def test_languages_past_the_first_have_models_of_their_own(spark):
+    rng = random.Random(9)
+    words = {lang: ["".join(rng.choice(letters) for _ in range(5)) for _ in range(40)] for lang, letters in zip(["aa", "bb", "cc", "dd", None], ("abcde", "fghij", "klmno", "pqrst", "uvwxyz"))}
+    rows = [(i, lang, " ".join(rng.choices(words[lang], k=60))) for i, lang in enumerate([*words] * 12)] + [(1000, "rare", "one two three"), (1001, "", None)]
+    docs = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    got = quality.score_documents(docs, max_languages=2, least_documents=3).orderBy("doc_id").collect()
+    want = quality.score_documents(docs, max_languages=5).orderBy("doc_id").collect()  # all but the rare one at once
+    assert [tuple(r) for r in got] == [tuple(r) for r in want] and len(got) == len(rows)
+    assert {r["model"] for r in got} == {"aa", "bb", "cc", "dd", "", quality.OTHER}
+    shared = quality.score_documents(docs, max_languages=2, least_documents=1000)  # too rare for models of their own
+    assert {r[0] for r in shared.select("model").distinct().collect()} == {"aa", "", quality.OTHER}
