@@ -174,8 +174,23 @@ def first_pairs(shared: DataFrame, percent: int, rare: int) -> DataFrame:
     return named.where(F.col("keys") * rare > F.col("n")).select("a", "b")
 
 
+def among(sets: DataFrame, ids: DataFrame) -> DataFrame:
+    """The rows of ``sets`` that ``ids`` (column setid) names, and a few percent of the others: joined with it, only these move."""
+    ids = ids.distinct()
+    known = sets.sparkSession.sparkContext.broadcast(bloom.blocked(ids.select(F.xxhash64("setid").alias("h1"), F.xxhash64("setid", F.lit(1)).alias("h2")), ids.count()))
+    columns = sets.columns
+
+    def only(batches):
+        for t in batches:
+            ok = known.value.test(*(t.column(len(columns) + i).to_numpy().view(np.uint64) for i in (0, 1)))
+            yield t.select(columns).filter(pa.array(ok))
+
+    return sets.select(*columns, F.xxhash64("setid").alias("h1"), F.xxhash64("setid", F.lit(1)).alias("h2")).mapInArrow(only, sets.schema)
+
+
 def bounded(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs whose whole bitmaps (a few percent of the sets' bytes) allow a link."""
+    """The pairs (a saved table) whose whole bitmaps (a few percent of the sets' bytes) allow a link."""
+    sets = among(sets.select("setid", "n", "bitmap", "wide"), pairs.select(F.explode(F.array("a", "b")).alias("setid")))
     side = lambda c: sets.select(F.col("setid").alias(c), F.col("n").alias(f"n{c}"), F.coalesce("wide", "bitmap").alias(f"m{c}"))
     joined = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "ma", "mb")
 
@@ -374,14 +389,18 @@ def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75, rare:
     sets whose first common key stands at some position have no more common members than stand from there on.
     """
     shared = saved(shared_rows(index, percent, ordered))
-    tested = saved(bounded(first_pairs(shared, percent, rare), sets, percent))
+    named = saved(first_pairs(shared, percent, rare))
+    tested = saved(bounded(named, sets, percent))
+    discard(named)
     links = linked(tested, sets, fetch, percent)
     comps = components(links)
     discard(links)
-    search, whole = shared, False
+    search, some, whole = shared, sets, False
     while True:
-        found = saved(mixed_pairs(search, sets, comps, percent, whole, ordered))
-        more = saved(bounded(found.where("b is not null").join(tested, ["a", "b"], "left_anti"), sets, percent))
+        found = saved(mixed_pairs(search, some, comps, percent, whole, ordered))
+        fresh = saved(found.where("b is not null").join(tested, ["a", "b"], "left_anti"))
+        more = saved(bounded(fresh, sets, percent))
+        discard(fresh)
         tested = tested.unionByName(more)
         new = None if more.isEmpty() else linked(more, sets, fetch, percent)
         whole = new is None or new.isEmpty()
@@ -396,7 +415,8 @@ def link_sets(index: DataFrame, sets: DataFrame, fetch, percent: int = 75, rare:
         if again.isEmpty():
             discard(shared)
             return comps
-        search = shared.join(again, "key", "left_semi")
+        search = saved(shared.join(again, "key", "left_semi"))
+        some = among(sets, search.select("setid"))
 
 
 def keys_column(values: list[np.ndarray]) -> pa.Array:
